@@ -216,14 +216,18 @@ def links(codes: DataFrame, radius: int, words64: int, parts: list[list[int]], t
     (default ``radius``, for which no pair is missed)."""
     accept = radius if accept is None else accept
     used = [(i, bits, e) for i, (bits, e) in enumerate(zip(parts, t)) if e >= 0]
-    own, ask = [], []
-    for i, bits, e in used:
-        own.append(F.struct(F.lit(i).alias("part"), piece(bits).alias("key")))
-        masks = [sum(1 << b for b in c) for r in range(e + 1) for c in combinations(range(len(bits)), r)]
-        ask.append(F.transform(F.array(*(F.lit(m).cast("long") for m in masks)), lambda m, i=i, bits=bits: F.struct(F.lit(i).alias("part"), piece(bits).bitwiseXOR(m).alias("key"))))
-    sketch64 = F.col("fp")[0].alias("w")
-    data = codes.select("node", sketch64, F.explode(F.array(*own)).alias("x")).select("node", "w", "x.part", "x.key")
-    probe = data if all(e == 0 for _, _, e in used) else codes.select("node", sketch64, F.explode(F.flatten(F.array(*ask))).alias("x")).select("node", "w", "x.part", "x.key")
+    keyed = codes.select("node", F.col("fp")[0].alias("w"), *(piece(bits).alias(f"k{i}") for i, bits, _ in used))
+
+    def place_at(i, masks=None):
+        if masks is None:
+            return F.array(F.struct(F.lit(i).alias("part"), F.col(f"k{i}").alias("key")))
+        near = F.array(*(F.lit(m).cast("long") for m in masks))
+        return F.transform(near, lambda m: F.struct(F.lit(i).alias("part"), F.col(f"k{i}").bitwiseXOR(m).alias("key")))
+
+    own = [place_at(i) for i, _, _ in used]
+    ask = [place_at(i, [sum(1 << b for b in c) for r in range(e + 1) for c in combinations(range(len(bits)), r)]) for i, bits, e in used]
+    data = keyed.select("node", "w", F.explode(F.flatten(F.array(*own))).alias("x")).select("node", "w", "x.part", "x.key")
+    probe = data if all(e == 0 for _, _, e in used) else keyed.select("node", "w", F.explode(F.flatten(F.array(*ask))).alias("x")).select("node", "w", "x.part", "x.key")
     crowded = written(data.groupBy("part", "key").count().where(F.col("count") > CROWD).select("part", "key"))
     place = ["part", "key"]
     a = data.join(crowded, place, "left_anti").alias("a")
