@@ -110,6 +110,12 @@ def grouped_bits(both: np.ndarray, n: int, m: int) -> list[list[int]]:
 
 def piece(bits: list[int]):
     """The named bits of column fp as one number."""
+    first, n = bits[0], len(bits)
+    if n < 63 and bits == list(range(first, first + n)):  # a run of bits: one or two shifts
+        own = F.shiftrightunsigned(F.col("fp")[first // 64], first % 64)
+        if first % 64 + n > 64:
+            own = own.bitwiseOR(F.shiftleft(F.col("fp")[first // 64 + 1], 64 - first % 64))
+        return own.bitwiseAND((1 << n) - 1)
     out = F.lit(0).cast("long")
     for k, b in enumerate(bits):
         out = out.bitwiseOR(F.shiftleft(F.shiftrightunsigned(F.col("fp")[b // 64], b % 64).bitwiseAND(1), k))
