@@ -48,7 +48,7 @@ def sketch(data: bytes, shingle: int, words64: int) -> np.ndarray:
     digest = xxhash.xxh64_intdigest
     h = np.fromiter((digest(text[s:e], 42) for s, e in zip(start[: len(words) - k + 1].tolist(), end[k - 1 :].tolist())), np.uint64, len(words) - k + 1)
     for j in range(words64):
-        x = h if j == 0 else G.mix(h + STEP * np.uint64(j))
+        x = h if j == 0 else G.mix(h + np.uint64(int(STEP) * j % 2**64))
         ones = np.zeros(64, np.int64)
         for s in range(0, len(x), 1 << 15):
             ones += np.unpackbits(x[s : s + (1 << 15)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
