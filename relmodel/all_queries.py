@@ -4,13 +4,15 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from relmodel import learned as _learned
+from relmodel import operators_queries as _more
 from relmodel import queries as _base
 from relmodel.catalog import load
 from relmodel.operators import fusion, graph, slices
 from relmodel.workloads import ORDER_CUTOFFS, TASKS
 
-QUERIES = dict(_base.QUERIES)
-SQL = dict(_base.SQL)
+QUERIES = _base.QUERIES | _more.QUERIES | _learned.QUERIES
+SQL = _base.SQL | _more.SQL
 
 
 def entry(spark, sf_dir):
