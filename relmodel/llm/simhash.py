@@ -268,7 +268,7 @@ def near_components(docs: DataFrame, shingle: int = 4, radius: int = 4) -> DataF
         found = links(codes, radius, 1, parts, t)
     else:
         found = codes.select(F.col("node").alias("a"), F.col("node").alias("b")).limit(0)
-    own = rows.join(codes, "fp")
+    own = rows.join(codes, "fp", "left")
     shared = own.where("doc IS NOT NULL").groupBy("doc").agg(F.min("node").alias("a"), F.max("node").alias("b")).where("a <> b").select("a", "b")
     label = components(found.union(shared))
     return own.join(label, "node", "left").select("doc", "fp", F.when(F.col("doc").isNotNull(), F.coalesce("component", "node")).alias("component"))
