@@ -8,6 +8,8 @@ from dataclasses import dataclass, field
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from relmodel.session import importable
+
 
 @dataclass(frozen=True)
 class ForeignKey:
@@ -87,6 +89,7 @@ LINE_ID = (
 
 
 def load(spark: SparkSession, sf_dir: str, names=None) -> dict[str, DataFrame]:
+    importable(spark)
     return {n: spark.read.parquet(f"{sf_dir}/{n}.parquet") for n in (names or CATALOG.tables)}
 
 
