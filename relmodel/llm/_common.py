@@ -11,6 +11,8 @@ import uuid
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from relmodel.session import importable
+
 #: The six ASCII white-space characters that separate words.
 SPACE_CHARS = " \t\n\x0b\x0c\r"
 SPACE_PATTERN = r"[\x20\x09-\x0D]+"
@@ -19,6 +21,7 @@ _written: list[tuple[SparkSession, str]] = []
 
 
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    importable(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
