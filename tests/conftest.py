@@ -16,6 +16,9 @@ def spark():
         .config("spark.sql.session.timeZone", "UTC").config("spark.driver.memory", "4g").getOrCreate()
     )
     s.sparkContext.setLogLevel("ERROR")
+    from relmodel.session import importable
+
+    importable(s)
     yield s
     s.stop()
 
