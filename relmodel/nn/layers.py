@@ -110,8 +110,9 @@ def tuple_embedding(p, name: str, s: Schema, num, cat, layers: int, heads: int):
     return apply_norm(p, "tuple", t.concat([first, t.mean(t.reshape(rest, (b, m, d)), axis=1)], axis=1))
 
 
-def message_layer(p, k: int, states: dict, relations: list, how: str):
-    """``relations`` holds (name, child, parent, child index, parent index, n of each)."""
+def message_layer(p, k: int, states: dict, relations: list, how: str, directed: bool = False):
+    """``relations`` holds (name, child, parent, child index, parent index). ``directed``
+    gives the way down to the child weights of its own."""
     got: dict[str, list] = {n: [] for n in states}
     for name, child, parent, ci, pi in relations:
         for to, frm, ti, fi in ((parent, child, pi, ci), (child, parent, ci, pi)):
@@ -120,7 +121,8 @@ def message_layer(p, k: int, states: dict, relations: list, how: str):
                 continue
             s = t.segment(t.take(states[frm], fi), ti, n, how)
             has = (np.bincount(ti, minlength=n) > 0).astype(float)[:, None]
-            got[to].append(((states[to] @ p[f"pass{k}.{name}.own"] + s @ p[f"pass{k}.{name}.nbr"]) * has, has))
+            way = f"pass{k}.{name}" + (".down" if directed and to == child else "")
+            got[to].append(((states[to] @ p[f"{way}.own"] + s @ p[f"{way}.nbr"]) * has, has))
     out = {}
     for n, h in states.items():
         if got[n]:
@@ -161,3 +163,24 @@ def entmax(x, alpha: float = 1.7, steps: int = 50):
     y = y / y.sum(axis=-1, keepdims=True)
     w = np.where(y > 0, y ** (2 - alpha), 0)
     return t.Var(y, (x,), lambda g: (w * (g - (g * w).sum(axis=-1, keepdims=True) / w.sum(axis=-1, keepdims=True)),))
+
+
+def time_learned(seconds: np.ndarray, p, name: str):
+    """A linear term and sines of learned frequency and phase, for times scaled to days."""
+    x = t.lift(seconds[:, None] / 86400.0)
+    return t.concat([x * p[f"{name}.lin.w"] + p[f"{name}.lin.b"], sine(x * p[f"{name}.freq"] + p[f"{name}.phase"])], axis=1)
+
+
+def sine(x):
+    return t.Var(np.sin(x.v), (x,), lambda g: (g * np.cos(x.v),))
+
+
+def pick_log_softmax(z, label: np.ndarray):
+    """log softmax of (B, C) at the label of each row."""
+    m = z.v.max(axis=1, keepdims=True)
+    e = np.exp(z.v - m)
+    y = e / e.sum(axis=1, keepdims=True)
+    rows = np.arange(len(label))
+    one = np.zeros_like(y)
+    one[rows, label] = 1
+    return t.Var(np.log(y[rows, label] + 1e-300), (z,), lambda g: (g[:, None] * (one - y),))

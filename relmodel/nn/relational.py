@@ -41,6 +41,8 @@ class Config:
     use_passing: bool = True  # False: F10
     use_fusion: bool = True  # False: F11
     combine: str = "concat_project"
+    directed: bool = False
+    classes: int = 2  # of multi-class tasks
     seed: int = 0
     extra: dict = field(default_factory=dict)
 
@@ -113,11 +115,13 @@ class RelationalModel:
             for s in c.steps:
                 p[f"pass{k}.{s.relation}.own"] = r.standard_normal((d2, d2)) / np.sqrt(d2)
                 p[f"pass{k}.{s.relation}.nbr"] = r.standard_normal((d2, d2)) / np.sqrt(d2)
+                if c.directed:
+                    p |= {f"pass{k}.{s.relation}.down.{w}": r.standard_normal((d2, d2)) / np.sqrt(d2) for w in ("own", "nbr")}
             for n in c.schemas:
                 L.norm_params(p, f"pass{k}.{n}", d2)
         L.attention_params(r, p, "fuse", d2)
         L.norm_params(p, "head", d2)
-        L.dense(r, p, "head.out", d2, 1)
+        L.dense(r, p, "head.out", d2, c.classes if c.task == "multiclass" else 1)
         return p
 
     def forward(self, params: dict[str, np.ndarray], b: Batch):
@@ -131,7 +135,7 @@ class RelationalModel:
         edges = [e for e in b.edges if e[1] in h and e[2] in h]
         if c.use_relations and c.use_passing:
             for k in range(c.layers):
-                h = L.message_layer(p, k, h, edges, c.agg)
+                h = L.message_layer(p, k, h, edges, c.agg, c.directed)
         z, alpha, names = h[c.target], None, ["self"]
         if c.use_relations and c.use_fusion:
             around = {r: (t.take(h[n], rows), who) for r, (n, rows, who) in b.owner.items() if n in h and len(rows)}
@@ -141,8 +145,8 @@ class RelationalModel:
             z = t.take(t.reshape(out, (b.seeds * s, z.shape[1])), np.arange(b.seeds) * s) + z * c.extra.get("skip", 0.0)
             alpha = w.v[:, :, 0, :].mean(axis=1)
             alpha = np.where(mask, alpha, np.nan)
-        y = t.reshape(L.apply_dense(p, "head.out", L.apply_norm(p, "head", t.relu(z))), (-1,))
-        return y + own, p, alpha, names
+        y = L.apply_dense(p, "head.out", L.apply_norm(p, "head", t.relu(z)))
+        return y if c.task == "multiclass" else t.reshape(y, (-1,)) + own, p, alpha, names
 
     def loss(self, params, b: Batch):
         y, p, _, _ = self.forward(params, b)
@@ -151,7 +155,15 @@ class RelationalModel:
     def predict(self, params, b: Batch):
         """(score, importance weights, names): probabilities for binary tasks."""
         y, _, alpha, names = self.forward(params, b)
-        return (t.sigmoid(y).v if self.c.task == "binary" else y.v), alpha, names
+        return {"binary": t.sigmoid, "multiclass": t.softmax}.get(self.c.task, lambda x: x)(y).v, alpha, names
+
+    def reconstruct(self, params, b: Batch, masked: np.ndarray):
+        """Squared error of masked numerical attributes of the target, read off its embedding."""
+        c, p = self.c, {k: t.Var(v) for k, v in params.items()}
+        num = b.num[c.target]
+        h = L.tuple_embedding(p, c.target, c.schemas[c.target], np.where(masked, np.nan, num), b.cat[c.target], c.encoder_layers, c.heads)
+        miss = (L.apply_dense(p, "pre.out", h) - np.nan_to_num(num)) * (masked & ~np.isnan(num)).astype(float)
+        return t.total(miss * miss) * (1.0 / max(1, masked.sum())), p
 
 
 class BaseModel:
@@ -174,7 +186,13 @@ class BaseModel:
 
 
 def task_loss(y, label, task: str):
-    """T1, T2."""
+    """T1, T2; F9: cross-entropy over classes, and pairwise logistic loss for rankings."""
+    if task == "multiclass":
+        return t.mean(L.pick_log_softmax(y, label.astype(int))) * -1.0
+    if task == "ranking":
+        n = len(label)
+        above = (label[:, None] > label[None, :]).astype(float)
+        return t.total(t.softplus(t.reshape(y, (1, n)) - t.reshape(y, (n, 1))) * above) * (1.0 / max(1.0, above.sum()))
     return t.mean(t.softplus(y) - y * label) if task == "binary" else t.mean(t.absolute(y - label))
 
 

@@ -87,6 +87,32 @@ def fit(model, train: list[dict], valid: list[dict], cfg: TrainConfig, start: di
     return stop.params or params, history
 
 
+def pretrain(model, rows: list[dict], cfg: TrainConfig, share: float = 0.3) -> tuple[dict, list[float]]:
+    """The encoder learns to fill in masked attributes; the result starts later tasks."""
+    from relmodel.nn.layers import dense
+
+    r, c = np.random.default_rng(cfg.seed), model.c
+    params, opt, history = model.start(), AdamW(cfg.rate, cfg.decay), []
+    dense(r, params, "pre.out", 2 * c.d, len(c.schemas[c.target].numerical))
+    for _ in range(cfg.epochs):
+        order, losses = r.permutation(len(rows)), []
+        for i in range(0, len(order), cfg.batch):
+            b = unroll([rows[j] for j in order[i : i + cfg.batch]], c)
+            loss, p = model.reconstruct(params, b, r.random(b.num[c.target].shape) < share)
+            t.backward(loss)
+            params = opt.step(params, {k: v.g for k, v in p.items() if v.g is not None})
+            losses.append(float(loss.v))
+        history.append(float(np.mean(losses)))
+    return {k: v for k, v in params.items() if not k.startswith("pre.")}, history
+
+
+def rate_search(model, train: list[dict], valid: list[dict], cfg: TrainConfig, rates=(0.001, 0.00316, 0.01, 0.0316, 0.1)) -> tuple[float, dict]:
+    """T5: the learning rate of a log grid with the least validation loss, and its parameters."""
+    got = [(min(h), x, p) for x in rates for p, h in [fit(model, train, valid, TrainConfig(**(cfg.__dict__ | {"rate": x})))]]
+    _, rate, params = min(got, key=lambda g: g[:2])
+    return rate, params
+
+
 def rows_of(pdf) -> list[dict]:
     """Packed rows of a pandas frame (or list of Row) as plain dicts."""
     out = []

@@ -185,3 +185,41 @@ def test_counts_and_area():
     assert area([1, 0, 1, 0], [0.9, 0.8, 0.8, 0.1]) == 0.875
     points = tpe_order([({"w": w}, abs(w - 64)) for w in (16, 32, 64, 128, 16, 128)], {"w": [16, 32, 64, 128]}, 2)
     assert points[0]["w"] in (32, 64)
+
+
+@pytest.mark.parametrize("more", [dict(directed=True), dict(task="multiclass", classes=3), dict(task="ranking")])
+def test_more_heads_and_directions(more):
+    c = config(**more)
+    m, data = RelationalModel(c), rows(8, 4)
+    for i, r in enumerate(data):
+        r["y"] = float(i % 3)
+    p, b = m.start(), unroll(data, c)
+    loss, v = m.loss(p, b)
+    t.backward(loss)
+    k = "pass0.line_order.down.own" if "directed" in more else "head.out.w"
+    i = tuple(0 for _ in p[k].shape)
+    a, z = {**p, k: p[k].copy()}, {**p, k: p[k].copy()}
+    a[k][i] += 1e-5
+    z[k][i] -= 1e-5
+    assert abs((float(m.loss(a, b)[0].v) - float(m.loss(z, b)[0].v)) / 2e-5 - v[k].g[i]) < 1e-5
+    if more.get("task") == "multiclass":
+        assert np.allclose(m.predict(p, b)[0].sum(axis=1), 1)
+
+
+def test_pretraining_and_rate_search():
+    from relmodel.nn.train import pretrain, rate_search
+
+    c = config(schemas={"customer": L.Schema(["a", "b"], [("seg", 3)]), "orders": L.Schema(["price"]), "lineitem": L.Schema(["qty"])})
+    data = rows(200, 5)
+    for r in data:
+        r["x"] = [r["x"][0], 2 * r["x"][0]]
+    params, hist = pretrain(RelationalModel(c), data, TrainConfig(epochs=15, batch=64))
+    assert hist[-1] < hist[0] and not any(k.startswith("pre.") for k in params)
+    rate, _ = rate_search(RelationalModel(c), data[:100], data[100:], TrainConfig(epochs=2, batch=64), (0.001, 0.03))
+    assert rate in (0.001, 0.03)
+
+
+def test_learned_time():
+    p = {"x.lin.w": np.ones((1, 1)), "x.lin.b": np.zeros(1), "x.freq": np.array([[1.0, 2.0]]), "x.phase": np.zeros(2)}
+    out = L.time_learned(np.array([0.0, 86400.0]), {k: t.Var(v) for k, v in p.items()}, "x")
+    assert np.allclose(out.v[1], [1, np.sin(1), np.sin(2)]) and np.allclose(out.v[0], 0)
