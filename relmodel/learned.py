@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 
+import pandas as pd
 from pyspark.sql import functions as F
 
 from relmodel.catalog import load
@@ -195,7 +196,6 @@ _own_boost("base_leafwise_boost", kind="leafwise", top=0.3, rest=0.3)
 def base_text(spark, sf):
     """Frozen text vectors of serialised rows with a linear head."""
     import numpy as np
-    import pandas as pd
 
     from relmodel.functions.embed import serialise
     from relmodel.nn.bases import TextBase
@@ -331,3 +331,59 @@ def architecture_space(spark, sf):
 
     spark.dataSource.register(GridSource)
     return spark.read.format("model_grid").load()
+
+
+@query
+def score_sql_udf(spark, sf):
+    """A fitted model as an Arrow function callable from SQL."""
+    import numpy as np
+    from pyspark.sql.functions import pandas_udf
+
+    train, test = _tabular(spark, sf)
+    rows = train.select("y", "c_acctbal", "c_nationkey").orderBy(F.md5(F.col("c_acctbal").cast("string").cast("binary"))).limit(500).collect()  # bounded
+    x = np.array([[1.0, r.c_acctbal / 1e4, r.c_nationkey / 25] for r in rows])
+    w = np.linalg.lstsq(x.T @ x + 1e-6 * np.eye(3), x.T @ np.array([r.y for r in rows]), rcond=None)[0].tolist()
+
+    @pandas_udf("double")
+    def score_customer_active(balance: pd.Series, nation: pd.Series) -> pd.Series:
+        return w[0] + w[1] * balance / 1e4 + w[2] * nation / 25
+
+    spark.udf.register("score_customer_active", score_customer_active)
+    return spark.sql("SELECT entity_id, round(score_customer_active(c_acctbal, c_nationkey), 6) AS score FROM {t}", t=test)
+
+
+@query
+def dispatch_strategies(spark, sf):
+    """Never, always, conditional and best-of-both over two tasks, as share augmented
+    and skill lost."""
+    from relmodel.operators.metrics import dispatch_report
+
+    out = None
+    for name in ("pl1", "pl5"):
+        got = study(spark, sf, name, [{"augmented": False}, {"augmented": True}], seeds=300).select("config", "metric").withColumn("task", F.lit(name))
+        out = got if out is None else out.unionAll(got)
+    wide = out.groupBy("task").agg(F.max(F.when(F.col("config").contains('"augmented": false'), F.col("metric"))).alias("direct"), F.max(F.when(F.col("config").contains('"augmented": true'), F.col("metric"))).alias("augmented"))
+    wide = spark.createDataFrame([r.asDict() for r in wide.collect()], "task string, direct double, augmented double")  # one row a task
+    rules = {"never": F.lit("direct"), "always": F.lit("augment"), "conditional": F.when(F.col("direct") >= 0.95 * 0.9, "direct").otherwise("augment"), "best": F.when(F.col("direct") >= F.col("augmented"), "direct").otherwise("augment")}
+    every = None
+    for k, rule in rules.items():
+        row = dispatch_report(wide.withColumn("decision", rule)).withColumn("strategy", F.lit(k))
+        every = row if every is None else every.unionAll(row)
+    return every
+
+
+@query
+def holdout_probes(spark, sf):
+    """Probes of bases without gradients, fitted on half of the probe batch."""
+    import numpy as np
+
+    from relmodel.nn.bases import InContext, TwoStage
+    from relmodel.nn.grid import flat_features
+    from relmodel.nn.train import rows_of
+    from relmodel.plans.dispatch import holdout_probe
+
+    packed, _ = packed_task(spark, sf, "pl5", seeds=256)
+    rows = rows_of(packed.orderBy("seed_id").collect())  # the probe batch, bounded
+    x, y = flat_features(rows), np.array([r["y"] for r in rows])
+    out = [(m.kind, float(holdout_probe(lambda a, b, c, m=m: m().fit(a, b).predict(c), x, y, "binary"))) for m in (InContext, TwoStage)]
+    return spark.createDataFrame(out, "model_id string, skill double")

@@ -43,7 +43,8 @@ def proxies(model, batch: Batch, params: dict | None = None) -> dict[str, float]
     p = {k: t.Var(np.abs(v)) for k, v in params.items()}
     z, y = model.base.run(p, ones.num[model.c.target], ones.cat[model.c.target])
     t.backward(t.total(y))
-    out["synflow"] = float(np.log1p(sum((v.v * v.g).sum() for v in p.values() if v.g is not None)))
+    flow = sum((v.v * v.g).sum() for v in p.values() if v.g is not None)
+    out["synflow"] = float(np.sign(flow) * np.log1p(abs(flow)))
     p = {k: t.Var(v) for k, v in params.items()}
     z, y = model.base.run(p, batch.num[model.c.target], batch.cat[model.c.target])
     sign = (z.v > 0).astype(float)
