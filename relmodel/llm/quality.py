@@ -101,14 +101,22 @@ def fit(votes: DataFrame) -> dict[str, float]:
     return p
 
 
-def judged(feats: DataFrame) -> DataFrame:
-    """Adds the votes, ``quality`` (posterior), base_failed and kept; ``feats`` is read twice."""
-    votes = feats.selectExpr("*", *(f"{sql} AS v{i}" for i, sql in enumerate(RULES.values())))
-    exact = {k: f"{v!r}D" for k, v in fit(votes).items()}
-    out = votes.selectExpr("*", f"{posterior_sql(exact)} AS quality", f"{BASE_FAILED} AS base_failed")
+def voted(feats: DataFrame) -> DataFrame:
+    return feats.selectExpr("*", *(f"{sql} AS v{i}" for i, sql in enumerate(RULES.values())))
+
+
+def verdict(feats: DataFrame, estimates: dict[str, float]) -> DataFrame:
+    """Adds the votes, ``quality`` (posterior), base_failed and kept."""
+    exact = {k: f"{v!r}D" for k, v in estimates.items()}
+    out = voted(feats).selectExpr("*", f"{posterior_sql(exact)} AS quality", f"{BASE_FAILED} AS base_failed")
     return out.withColumn("kept", ~F.col("base_failed") & (F.col("quality") >= 0.5))
 
 
+def judged(feats: DataFrame) -> DataFrame:
+    """Estimates from all of ``feats`` and its verdicts; it is read twice."""
+    return verdict(feats, fit(voted(feats)))
+
+
 def quality_rules(docs: DataFrame) -> DataFrame:
     """doc_id, the features, votes, quality, base_failed and kept per row."""
     own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of("text").alias("body"))

@@ -83,7 +83,9 @@ def _full_windows(window: int):
     return run
 
 
-def _cut(window: int):
+def _cut(window: int, carried: bool = False):
+    """Cuts the windows that start at ``at``; column ``row`` is handed on if ``carried``."""
+
     def run(batches):
         for b in batches:
             out: list[tuple] = []
@@ -109,7 +111,9 @@ def _cut(window: int):
                 np.add.at(drop, nxt[gone], -1)
                 out.append((doc, len(s), int(gone.sum()), text[np.cumsum(drop[:-1]) == 0].tobytes().decode()))
             cols = list(zip(*out)) or [[], [], [], []]
-            yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.string()))], names=["doc_id", "n_words", "n_removed", "kept_text"])
+            made = [pa.array(x, t) for x, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.string()))]
+            names = ["doc_id", "n_words", "n_removed", "kept_text"]
+            yield pa.RecordBatch.from_arrays([*made, b.column("row")], names=[*names, "row"]) if carried else pa.RecordBatch.from_arrays(made, names=names)
 
     return run
 
