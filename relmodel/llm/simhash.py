@@ -27,6 +27,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from relmodel.llm import _grams as G
+from relmodel.llm import similar
 from relmodel.llm._common import components, text_of, written
 
 CROWD, BLOCK, MANY = 32, 4096, 1 << 18
@@ -281,31 +282,8 @@ def simhash_dedup(docs: DataFrame, shingle: int = 4, radius: int = 4) -> DataFra
     return out.select(F.col("doc").alias("doc_id"), F.lower(F.lpad(F.hex(F.col("fp")[0]), 16, "0")).alias("fingerprint"), F.col("component").alias("component_id"))
 
 
-def plan_for(n: int, cosine_bits: float = 0.1515, wanted: float = 0.95) -> tuple[int, int]:
-    """(number of parts, bits a part) so that two texts differing in ``cosine_bits`` of the bits
-    share a part with probability ``wanted`` while a part value holds a few codes."""
-    width = max(16, math.ceil(math.log2(max(n, 2))) - 2)
-    return math.ceil(math.log(1 - wanted) / math.log(1 - (1 - cosine_bits) ** width)), width
-
-
 def similar_components(docs: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
-    """(doc, component): documents whose word shingles have an estimated Jaccard similarity of at
-    least ``similarity``, linked.
-
-    Jaccard j is cosine 2j/(1+j) for shingle sets; fingerprints differ in arccos(cosine)/pi of their
-    bits. Wide fingerprints make that estimate sharp; parts are unused or probed at their value
-    (the thresholds sum to 0), so pairs within parts - 1 bits cannot be missed and pairs at
-    ``similarity`` meet with probability 0.95."""
-    share = math.acos(2 * similarity / (1 + similarity)) / math.pi
-    n = docs.count()
-    m, width = plan_for(n, share)
-    words64 = math.ceil(m * width / 64)
-    m = words64 * 64 // width
-    rows = written(fingerprints(docs, shingle, words64))
-    codes = written(rows.where("doc IS NOT NULL").groupBy("fp").agg(F.min("doc").alias("node")))
-    bits = 64 * words64
-    parts = [list(range(i * width, (i + 1) * width)) for i in range(m)]
-    found = links(codes, m - 1, words64, parts, [0] * m, accept=int(bits * share))
-    own = rows.join(codes, "fp").where("doc IS NOT NULL")
-    label = components(found)
-    return own.join(label, "node", "left").select("doc", F.coalesce("component", "node").alias("component"))
+    """(doc, component): documents whose sets of word shingles have a Jaccard similarity of at least
+    ``similarity``, linked; component = smallest doc reachable. Exact, see ``relmodel.llm.similar``."""
+    own = written(similar.similar_sets(docs.withColumn("key", F.xxhash64("body")), shingle, similarity).select("doc", "component").distinct())
+    return own.join(own.groupBy("component").agg(F.min("doc").alias("first")), "component").select("doc", F.col("first").alias("component"))
