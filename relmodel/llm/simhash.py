@@ -239,11 +239,11 @@ def links(codes: DataFrame, radius: int, words64: int, parts: list[list[int]], t
     place = ["part", "key"]
     a = data.join(crowded, place, "left_anti").alias("a")
     b = probe.join(crowded, place, "left_anti").alias("b")
-    # A first sieve on 64 bits: for one word the test itself, else a bound four deviations out.
-    share = accept / (64 * words64)
-    sieve = accept if words64 == 1 else math.ceil(64 * share + 4 * math.sqrt(64 * share * (1 - share)))
-    met = a.join(b, place).where((F.col("a.node") < F.col("b.node")) & (F.bit_count(F.col("a.w").bitwiseXOR(F.col("b.w"))) <= sieve)).select(F.col("a.node").alias("a"), F.col("b.node").alias("b")).distinct()
-    if words64 > 1:
+    met = a.join(b, place).where(F.col("a.node") < F.col("b.node"))
+    if words64 == 1:  # the whole fingerprint travels with the key
+        met = met.where(F.bit_count(F.col("a.w").bitwiseXOR(F.col("b.w"))) <= accept)
+    met = met.select(F.col("a.node").alias("a"), F.col("b.node").alias("b")).distinct()
+    if words64 > 1:  # no sieve on a part of the bits: it could lose a pair within the bound
         x, y = codes.select(F.col("node").alias("a"), F.col("fp").alias("fa")), codes.select(F.col("node").alias("b"), F.col("fp").alias("fb"))
         met = met.join(x, "a").join(y, "b").where(_near(F.col("fa"), F.col("fb"), words64) <= accept).select("a", "b")
     out = met

@@ -75,3 +75,11 @@ def test_shared_ids_are_told_apart(spark):
     docs = spark.createDataFrame(rows, "doc_id long, text string")
     got = sorted(((r.doc_id, r.text) for r in P.near_dedup_stage(spark, docs, "").collect()), key=str)
     assert got == sorted([(1, text["a"]), (1, text["b"]), (3, text["c"]), (None, text["a"])], key=str)
+
+
+def test_links_of_wide_fingerprints_lose_no_pair_within_the_bound(spark):
+    """All differing bits in the first word: a sieve on that word alone would drop the pair."""
+    rows = [(1, [0] * 10), (2, [(1 << 60) - 1 - (1 << 16) + 1] + [0] * 9)]
+    codes = spark.createDataFrame(rows, "node long, fp array<long>")
+    parts = [list(range(i * 16, i * 16 + 16)) for i in range(40)]
+    assert simhash.links(codes, 39, 10, parts, [0] * 40, accept=96).collect() == [(1, 2)]
