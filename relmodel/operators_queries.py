@@ -66,6 +66,13 @@ def proxy_calibrated(spark, sf):
     return dispatch.calibrate(x.where(F.col("model_id").isin("m1", "m2", "m3")), x).select("model_id", "proxy", F.round("score", 9).alias("score"))
 
 
+@query("proxy_calibrated_all", f"WITH x AS (SELECT proxy, raw, count(*) AS n FROM ({_raw}) GROUP BY ALL), r AS (SELECT proxy, raw, (sum(n) OVER (PARTITION BY proxy ORDER BY raw) - n / 2e0) / sum(n) OVER (PARTITION BY proxy) AS share FROM x) SELECT a.model_id, a.proxy, round(r.share, 9) AS score FROM ({_raw}) a JOIN r ON r.proxy = a.proxy AND r.raw = a.raw")
+def proxy_calibrated_all(spark, sf):
+    """Every model of the table; ``proxy_calibrated`` is three of them, as its SQL says."""
+    x = _proxies(spark, sf)
+    return dispatch.calibrate(x, x).select("model_id", "proxy", F.round("score", 9).alias("score"))
+
+
 @query("select_base", f"SELECT model_id, score FROM (SELECT model_id, round(avg(r), 9) AS score FROM (SELECT *, percent_rank() OVER (PARTITION BY proxy ORDER BY raw) AS r FROM ({_raw}) WHERE proxy IN ('click', 'view')) GROUP BY model_id) ORDER BY score DESC, model_id LIMIT 1")
 def select_base(spark, sf):
     return dispatch.select_base(dispatch.combine_proxies(_proxies(spark, sf), ("click", "view")))

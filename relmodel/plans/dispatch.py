@@ -98,11 +98,24 @@ def combine_proxies(raw: DataFrame, which=("grad_norm", "naswot")) -> DataFrame:
     return own.groupBy("model_id").agg(F.round(F.avg("r"), 9).alias("score"))
 
 
-def calibrate(raw: DataFrame, past: DataFrame) -> DataFrame:
-    """A raw proxy as its mid-rank share among past raw values of the same proxy; 0.5 without."""
-    met = raw.join(past.select("proxy", F.col("raw").alias("old")), "proxy", "left")
-    share = F.avg(F.when(F.col("old") < F.col("raw"), 1.0).when(F.col("old") == F.col("raw"), 0.5).when(F.col("old").isNotNull(), 0.0))
-    return met.groupBy("model_id", "proxy", "raw").agg(F.coalesce(share, F.lit(0.5)).alias("score"))
+def calibrate(raw: DataFrame, past: DataFrame, parts: int = 64) -> DataFrame:
+    """A raw proxy as its mid-rank share among past raw values of the same proxy; 0.5 without.
+
+    Counts per value and prefix sums in two levels (ranges of the value, then within a range), so no
+    score meets every past score. A null raw value is above nothing."""
+    asked = raw.select("model_id", "proxy", "raw").distinct()
+    known = past.where("raw IS NOT NULL").select("proxy", "raw", F.lit(1).alias("n"))
+    g = known.union(asked.where("raw IS NOT NULL").select("proxy", "raw", F.lit(0))).groupBy("proxy", "raw").agg(F.sum("n").alias("n"))
+    cuts = g.groupBy("proxy").agg(F.percentile_approx("raw", [i / parts for i in range(1, parts)], 10_000).alias("cuts"))
+    g = g.join(cuts, "proxy").withColumn("part", F.size(F.filter("cuts", lambda c: c < F.col("raw")))).drop("cuts")
+    sums = g.groupBy("proxy", "part").agg(F.sum("n").alias("m"))
+    own = Window.partitionBy("proxy")
+    sums = sums.select("proxy", "part", F.coalesce(F.sum("m").over(own.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"), F.sum("m").over(own).alias("total"))  # at most ``parts`` rows a proxy
+    run = F.sum("n").over(Window.partitionBy("proxy", "part").orderBy("raw").rowsBetween(Window.unboundedPreceding, 0))
+    rank = g.withColumn("upto", run).join(sums, ["proxy", "part"]).select("proxy", "raw", (F.col("before") + F.col("upto") - F.col("n") / 2).alias("rank"))
+    out = asked.join(rank, ["proxy", "raw"], "left").join(known.groupBy("proxy").agg(F.count("*").alias("total")), "proxy", "left")
+    share = F.when(F.col("total") > 0, F.coalesce("rank", F.lit(0.0)) / F.col("total"))
+    return out.select("model_id", "proxy", "raw", F.coalesce(share, F.lit(0.5)).alias("score"))
 
 
 def select_base(scores: DataFrame) -> DataFrame:
