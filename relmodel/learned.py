@@ -30,8 +30,10 @@ def split_column(entity):
     return F.when(h < 6, "train").when(h < 8, "valid").otherwise("test")
 
 
-def packed_task(spark, sf, name: str, seeds: int = 500, k: int = 16, strategy: str = "latest", steps=STEPS, target: str = "customer", skip=()):
-    """(packed rows, plan) of a task; labels of a cutoff see only the state at it."""
+def packed_parts(spark, sf, name: str, parts, seeds: int = 500, k: int = 16, strategy: str = "latest", steps=STEPS, target: str = "customer", skip=()):
+    """([packed rows per part], plan) of a task; labels of a cutoff see only the state at it. Parts:
+    ``sample`` (at most ``seeds`` of all), ``fit`` (at most ``seeds`` of train and valid), ``test``
+    (every test entity) and ``all`` (every entity)."""
     from relmodel.plans.packing import fit_plan, pack
 
     t = load(spark, sf, TABLES)
@@ -39,18 +41,26 @@ def packed_task(spark, sf, name: str, seeds: int = 500, k: int = 16, strategy: s
     if name in ("pl2",) or (name in TASKS and TASKS[name].kind == "regression"):
         m = labels.agg(F.avg("y"), F.stddev_pop("y")).first()
         labels = labels.withColumn("y", (F.col("y") - F.lit(m[0] or 0.0)) / F.lit(m[1] or 1.0))
-    picked = slices.sample_seeds(labels, seeds).select(F.col("entity_id").cast("string").alias("seed_id"), "y", split_column("entity_id").alias("split"))
+    labels = labels.withColumn("split", split_column("entity_id"))
+    pick = {"sample": lambda: slices.sample_seeds(labels, seeds), "fit": lambda: slices.sample_seeds(labels.where("split <> 'test'"), seeds), "test": lambda: labels.where("split = 'test'"), "all": lambda: labels}
     plan = fit_plan(t, target, list(steps), skip, k=k, strategy=strategy)
-    return pack(picked, t, plan, as_of=T), plan
+    return [pack(pick[p]().select(F.col("entity_id").cast("string").alias("seed_id"), "y", "split"), t, plan, as_of=T) for p in parts], plan
+
+
+def packed_task(spark, sf, name: str, **more):
+    """(packed rows, plan) of a bounded sample of a task's entities."""
+    (packed,), plan = packed_parts(spark, sf, name, ["sample"], **more)
+    return packed, plan
 
 
 def study(spark, sf, name: str, specs: list[dict], **more):
+    """Fitted on a bounded sample, measured on every test entity."""
     from relmodel.nn.grid import run_grid
 
-    packed, plan = packed_task(spark, sf, name, **more)
+    (packed, test), plan = packed_parts(spark, sf, name, ["fit", "test"], **more)
     task = "regression" if name in ("pl2", "pl3", "pl4") or (name in TASKS and TASKS[name].kind == "regression") else "binary"
     specs = [{"target": plan.target, "d": 4, "layers": 1, "task": task, "train": TRAIN} | s for s in specs]
-    return run_grid(packed, specs, plan.schemas(), plan.steps).withColumn("task", F.lit(name))
+    return run_grid(packed, specs, plan.schemas(), plan.steps, test).withColumn("task", F.lit(name))
 
 
 @query
@@ -133,10 +143,11 @@ def predict_augmented(spark, sf):
 
 
 def _trained(spark, sf, augmented, base, backend="grouped"):
+    """Fitted on a bounded sample; every entity of the cutoff is scored."""
     from relmodel.nn.train import TrainConfig, fit_grouped, fit_local_sgd, fit_sync, score
     import pickle
 
-    packed, plan = packed_task(spark, sf, "pl1", seeds=300)
+    (packed, every), plan = packed_parts(spark, sf, "pl1", ["fit", "all"], seeds=300)
     packed = packed.withColumn("run", F.lit(0).cast("long"))
     c = Config("customer", plan.schemas(), plan.steps, d=4, layers=1, base=base)
     cfg = TrainConfig(epochs=6, batch=64)
@@ -144,7 +155,7 @@ def _trained(spark, sf, augmented, base, backend="grouped"):
         params = pickle.loads(fit_grouped(packed, c, cfg, augmented).first().params)
     else:
         params, _ = (fit_sync if backend == "sync" else fit_local_sgd)(packed.where("split = 'train'").repartition(4, "seed_id"), c, cfg, augmented)
-    return score(packed.where("split = 'test'"), c, params, augmented).select("seed_id", F.round("score", 6).alias("score"), F.size("signals").alias("n_signals"))
+    return score(every, c, params, augmented).select("seed_id", F.round("score", 6).alias("score"), F.size("signals").alias("n_signals"))
 
 
 @query

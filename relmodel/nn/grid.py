@@ -4,14 +4,18 @@ bounded set of packed rows (T5, T7, B13, B14, W11-W17)."""
 from __future__ import annotations
 
 import json
+import pickle
 import time
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+from pyspark.sql import functions as F
 
 from relmodel.nn.bases import Constant, InContext, TwoStage, UnsupportedTask
 from relmodel.nn.relational import Config, importance, param_count, unroll
-from relmodel.nn.train import TrainConfig, fit, model_of, rows_of
+from relmodel.nn.train import TrainConfig, fit, model_of, packed_rows, rows_of
+from relmodel.operators.metrics import mae, roc_area
 
 MOST = 100_000
 
@@ -34,35 +38,57 @@ def flat_features(rows: list[dict]) -> np.ndarray:
     return np.array([list(r["x"]) + list(r.get("c", ())) for r in rows], float)
 
 
-def run_one(rows: list[dict], spec: dict, schemas, steps) -> dict:
-    """Trains and tests one configuration; metric is NaN where the model cannot do the task."""
+def fit_one(rows: list[dict], spec: dict, schemas, steps) -> tuple[dict, tuple | None]:
+    """Trains one configuration: (figures, what ``predict_one`` needs or None where the model cannot
+    do the task)."""
     spec = dict(spec)
     kind, augmented, train = spec.pop("base", "residual"), spec.pop("augmented", True), spec.pop("train", {})
-    part = {s: [r for r in rows if r["split"] == s] for s in ("train", "valid", "test")}
-    y = np.array([r["y"] for r in part["test"]])
+    part = {s: [r for r in rows if r["split"] == s] for s in ("train", "valid")}
     began = time.perf_counter()
     simple = {"constant": Constant, "incontext": InContext, "two_stage_incontext": TwoStage}
     if kind in simple:
         try:
             m = simple[kind](spec.get("task", "binary")).fit(flat_features(part["train"]), [r["y"] for r in part["train"]])
-            return {"metric": measure(spec.get("task", "binary"), y, m.predict(flat_features(part["test"]))), "valid": float("nan"), "n_params": 0, "seconds": time.perf_counter() - began, "top": ""}
         except UnsupportedTask:
-            return {"metric": float("nan"), "valid": float("nan"), "n_params": 0, "seconds": 0.0, "top": ""}
+            return {"valid": float("nan"), "n_params": 0, "seconds": 0.0}, None
+        return {"valid": float("nan"), "n_params": 0, "seconds": time.perf_counter() - began}, (m, None, None)
     hops = spec.pop("hops", None)
     use = steps if hops is None else tuple(s for s in steps if hops >= 2 or s.source == spec["target"])
     c = Config(schemas={n: s for n, s in schemas.items() if n == spec["target"] or any(n == u.table for u in use)}, steps=use, base=kind, **spec)
-    model = model_of(c, augmented)
-    params, hist = fit(model, part["train"], part["valid"], TrainConfig(**({"seed": c.seed} | train)))
-    s, alpha, names = model.predict(params, unroll(part["test"], c))
-    top = ""
-    if alpha is not None:
-        mean = np.nanmean(importance(alpha), axis=0)
-        top = ",".join(names[i] for i in np.argsort(-mean)[:4])
-    return {"metric": measure(c.task, y, s), "valid": float(min(hist)), "n_params": param_count(params), "seconds": time.perf_counter() - began, "top": top}
-
-
-def run_grid(packed, specs: list[dict], schemas, steps):
-    """(config, metric, valid, n_params, seconds, top) per configuration."""
+    params, hist = fit(model_of(c, augmented), part["train"], part["valid"], TrainConfig(**({"seed": c.seed} | train)))
+    return {"valid": float(min(hist)), "n_params": param_count(params), "seconds": time.perf_counter() - began}, (params, c, augmented)
+
+
+def predict_one(state: tuple, rows: list[dict]) -> tuple:
+    """(scores, importance of signals or None, their names)."""
+    fitted, c, augmented = state
+    if c is None:
+        return np.asarray(fitted.predict(flat_features(rows)), float), None, []
+    s, alpha, names = model_of(c, augmented).predict(fitted, unroll(rows, c))
+    return np.asarray(s, float), None if alpha is None else importance(alpha), names
+
+
+def strongest(mean, names) -> str:
+    return ",".join(names[i] for i in np.argsort(-np.asarray(mean, float))[:4])
+
+
+def run_one(rows: list[dict], spec: dict, schemas, steps) -> dict:
+    """Trains and tests one configuration; metric is NaN where the model cannot do the task."""
+    out, state = fit_one(rows, spec, schemas, steps)
+    test = [r for r in rows if r["split"] == "test"]
+    if state is None:
+        return {"metric": float("nan"), **out, "top": ""}
+    s, imp, names = predict_one(state, test)
+    top = "" if imp is None else strongest(np.nanmean(imp, axis=0), names)
+    return {"metric": measure(spec.get("task", "binary"), [r["y"] for r in test], s), **out, "top": top}
+
+
+def run_grid(packed, specs: list[dict], schemas, steps, test=None):
+    """(config, metric, valid, n_params, seconds, top) per configuration.
+
+    Trained on ``packed``, which one worker must hold. With ``test``, packed rows of any number, all
+    of these are scored in executors and the metric is theirs; else it is that of the test part of
+    ``packed``."""
     spark = packed.sparkSession
     got = packed.limit(MOST + 1).collect()
     if len(got) > MOST:
@@ -75,7 +101,52 @@ def run_grid(packed, specs: list[dict], schemas, steps):
             for config in pdf["config"]:
                 yield pd.DataFrame([{"config": config} | run_one(rows.value, json.loads(config), schemas, steps)])
 
-    return todo.mapInPandas(run, "config string, metric double, valid double, n_params long, seconds double, top string")
+    if test is None:
+        return todo.mapInPandas(run, OUT)
+
+    def train(frames):
+        for pdf in frames:
+            for i, config in zip(pdf["i"], pdf["config"]):
+                out, state = fit_one(rows.value, json.loads(config), schemas, steps)
+                yield pd.DataFrame([{"i": i, "config": config, **out, "state": pickle.dumps(state)}])
+
+    fitted = sorted(todo.mapInPandas(train, "i int, config string, valid double, n_params long, seconds double, state binary").collect(), key=lambda r: r.i)  # one row a configuration
+    found = test_figures(test, {r.i: pickle.loads(r.state) for r in fitted}, {i: s.get("task", "binary") for i, s in enumerate(specs)})
+    return spark.createDataFrame([(r.config, found[r.i][0], r.valid, r.n_params, r.seconds, found[r.i][1]) for r in fitted], OUT)
+
+
+OUT = "config string, metric double, valid double, n_params long, seconds double, top string"
+
+
+def test_figures(test, states: dict, tasks: dict) -> dict[int, tuple[float, str]]:
+    """{i: (metric, strongest signals)} of fitted models over all rows of ``test``; only scores and
+    importances leave Python and only figures the executors."""
+    shared = test.sparkSession.sparkContext.broadcast(states)
+
+    def run(batches):
+        for part in packed_rows(batches):
+            for i, state in shared.value.items():
+                if state is None:
+                    continue
+                s, imp, names = predict_one(state, part)
+                signals = [[] if imp is None else [(n, None if np.isnan(v) else float(v)) for n, v in zip(names, r)] for r in (imp if imp is not None else s)]
+                kind = pa.list_(pa.struct([("name", pa.string()), ("v", pa.float64())]))
+                signals = pa.array([[{"name": n, "v": v} for n, v in r] for r in signals], kind)
+                yield pa.RecordBatch.from_arrays([pa.array([i] * len(part), pa.int32()), pa.array([float(r["y"]) for r in part]), pa.array(s), signals], names=["i", "y", "s", "signals"])
+
+    scored = test.mapInArrow(run, "i int, y double, s double, signals array<struct<name:string,v:double>>").persist()
+    tops: dict[int, list] = {}
+    for r in scored.select("i", F.explode("signals").alias("g")).groupBy("i", "g.name").agg(F.avg("g.v").alias("v")).collect():  # one row a signal
+        tops.setdefault(r.i, []).append((-(r.v if r.v is not None else -np.inf), r.name))
+    out = {}
+    for i, state in states.items():
+        own = scored.where(F.col("i") == i)
+        figure = None
+        if state is not None:
+            figure = (roc_area(own, "y", "s") if tasks[i] == "binary" else mae(own, "y", "s")).first()[0]
+        out[i] = (float("nan") if figure is None else figure, ",".join(n for _, n in sorted(tops.get(i, []))[:4]))
+    scored.unpersist()
+    return out
 
 
 # ---- search (B13, B14) --------------------------------------------------------------------------

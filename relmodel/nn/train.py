@@ -227,19 +227,26 @@ def _plus(parts):
 
 def score(packed, c: Config, params: dict, augmented: bool = True):
     """(seed_id, score, signals): one pass over packed rows, nothing but scores leaves Python."""
-    import pandas as pd
+    import pyarrow as pa
     from relmodel.nn.relational import importance
 
     shared = packed.sparkSession.sparkContext.broadcast(params)
 
-    def run(frames):
+    def run(batches):
         model = model_of(c, augmented)
-        for pdf in frames:
-            if not len(pdf):
-                continue
-            s, alpha, names = model.predict(shared.value, unroll(rows_of(pdf), c))
+        for rows in packed_rows(batches):
+            s, alpha, names = model.predict(shared.value, unroll(rows, c))
             imp = importance(alpha) if alpha is not None else np.zeros((len(s), 0))
             sig = [[{"signal": n, "importance": float(v)} for n, v in zip(names, row) if not np.isnan(v)] for row in imp]
-            yield pd.DataFrame({"seed_id": pdf["seed_id"], "score": s, "signals": sig})
+            kind = pa.list_(pa.struct([("signal", pa.string()), ("importance", pa.float64())]))
+            yield pa.RecordBatch.from_arrays([pa.array([r["seed_id"] for r in rows]), pa.array(np.asarray(s, float)), pa.array(sig, kind)], names=["seed_id", "score", "signals"])
+
+    return packed.mapInArrow(run, "seed_id string, score double, signals array<struct<signal:string,importance:double>>")
+
 
-    return packed.mapInPandas(run, "seed_id string, score double, signals array<struct<signal:string,importance:double>>")
+def packed_rows(batches, most: int = 256):
+    """Lists of at most ``most`` packed rows of Arrow batches, so ego graphs of any number fit."""
+    for b in batches:
+        for i in range(0, b.num_rows, most):
+            rows = b.slice(i, most).to_pylist()
+            yield [{k: [(g["at"], g["x"], g["c"]) for g in v] if isinstance(v, list) and v and isinstance(v[0], dict) else v for k, v in r.items()} for r in rows]
