@@ -205,27 +205,59 @@ _own_boost("base_leafwise_boost", kind="leafwise", top=0.3, rest=0.3)
 
 @query
 def base_text(spark, sf):
-    """Frozen text vectors of serialised rows with a linear head."""
+    """Frozen text vectors of serialised rows with a linear head (B15-B18, W19). The head is fitted on
+    at most 400 documents of the train part; every labelled document is encoded and scored, and the
+    area is that of the whole test part. ``n_null``: documents too long for a kind."""
+    from relmodel.operators.metrics import roc_area
+
+    out = None
+    scores = base_text_scores(spark, sf).cache()
+    for kind in TEXT_KINDS:
+        own = scores.where((F.col("kind") == kind) & (F.col("split") == "test"))
+        row = own.agg(F.count("*").alias("n"), F.count(F.when(F.col("score").isNull(), 1)).alias("n_null"))
+        row = roc_area(own.where("score IS NOT NULL").select("y", F.round("score", 9).alias("score"))).crossJoin(row).select(F.lit(kind).alias("kind"), "area", "n", "n_null")  # one row each
+        out = row if out is None else out.unionAll(row)
+    return out
+
+
+TEXT_KINDS = ("general_text", "pooled_text", "magnitude_text")
+TEXT_SCHEMA = "doc_id long, split string, y double, kind string, score double"
+
+
+def base_text_scores(spark, sf):
+    """(doc_id, split, y, kind, score) of every labelled document; score is null over the limit."""
     import numpy as np
+    import pyarrow as pa
 
     from relmodel.functions.embed import serialise
-    from relmodel.nn.bases import TextBase
-    from relmodel.nn.grid import area
+    from relmodel.nn.bases import TextBase, magnitude_edges
 
     d = load(spark, sf, ["documents", "labels"])
-    own = d["documents"].join(d["labels"], "doc_id").select("doc_id", F.col("quality").cast("double").alias("y"), serialise({"lang": "lang", "source": "source", "text": "text"}).alias("s"))
-    sample = own.orderBy(F.md5(F.col("doc_id").cast("string").cast("binary"))).limit(400).withColumn("split", split_column("doc_id"))
-
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        out = []
-        a, b = pdf[pdf.split == "train"], pdf[pdf.split == "test"]
-        for kind in ("general_text", "pooled_text", "magnitude_text"):
-            m = TextBase(kind)
-            m.fit(m.encode(list(a.s)), a.y.to_numpy())
-            out.append((kind, area(b.y, m.predict(m.encode(list(b.s)))), np.int64(len(b))))
-        return pd.DataFrame(out, columns=["kind", "area", "n"])
-
-    return sample.groupBy(F.lit(1).alias("g")).applyInPandas(run, "kind string, area double, n long")  # at most 400 rows
+    own = d["documents"].join(d["labels"], "doc_id").select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("double").alias("y"), split_column("doc_id").alias("split"), "lang", "source", F.col("n_chars").cast("double").alias("n_chars"), "text", serialise({"lang": "lang", "source": "source", "text": "text"}).alias("s"))
+    fitted = own.where("split = 'train' AND y IS NOT NULL").orderBy(F.md5(F.col("doc_id").cast("string").cast("binary")), "doc_id").limit(400).toPandas()  # bounded
+
+    def inputs(kind, rows):
+        if kind != "magnitude_text":
+            return [r["s"] for r in rows]
+        return [{k: r[k] for k in ("lang", "source", "n_chars", "text")} for r in rows]
+
+    models, rows = {}, fitted.to_dict("records")
+    for kind in TEXT_KINDS:
+        m = TextBase(kind, edges=magnitude_edges({"n_chars": fitted["n_chars"]}))
+        models[kind] = m.fit(m.encode(inputs(kind, rows)), fitted["y"].to_numpy())
+    shared = spark.sparkContext.broadcast(models)
+
+    def run(batches):
+        for b in batches:
+            for i in range(0, b.num_rows, 256):
+                part = b.slice(i, 256)
+                rows = part.to_pylist()
+                for kind, m in shared.value.items():
+                    score = m.predict(m.encode(inputs(kind, rows)))
+                    cols = [part.column(c) for c in ("doc_id", "split", "y")] + [pa.array([kind] * len(rows)), pa.array(score, mask=np.isnan(score))]
+                    yield pa.RecordBatch.from_arrays(cols, names=["doc_id", "split", "y", "kind", "score"])
+
+    return own.mapInArrow(run, TEXT_SCHEMA)
 
 
 @query

@@ -258,15 +258,30 @@ def magnitude_tokens(values: dict[str, object], edges: dict[str, np.ndarray], li
     return out if len(out) <= limit else None
 
 
+def magnitude_edges(numbers: dict[str, object], bins: int = 16) -> dict[str, np.ndarray]:
+    """Inner quantiles per number column, the edges of ``magnitude_tokens``."""
+    out = {}
+    for name, v in numbers.items():
+        v = np.asarray(v, float)
+        v = v[~np.isnan(v)]
+        out[name] = np.unique(np.quantile(v, np.arange(1, bins) / bins)) if len(v) else np.zeros(0)
+    return out
+
+
 class TextBase:
     """Frozen text vectors of serialised rows with a ridge head, the only part that learns."""
 
     group = "text"
 
-    def __init__(self, kind: str, task: str = "binary", ridge: float = 1.0):
-        self.kind, self.task, self.ridge = kind, task, ridge
+    def __init__(self, kind: str, task: str = "binary", ridge: float = 1.0, edges: dict[str, np.ndarray] | None = None):
+        self.kind, self.task, self.ridge, self.edges = kind, task, ridge, edges or {}
 
-    def encode(self, texts: list[str | None]) -> np.ndarray:
+    def encode(self, texts: list) -> np.ndarray:
+        """Texts, or for ``magnitude_text`` rows as dicts of values; NaN where there is no text or, for
+        ``magnitude_text``, more tokens than its limit."""
+        if self.kind == "magnitude_text":
+            tokens = [None if x is None else magnitude_tokens(x if isinstance(x, dict) else {"text": x}, self.edges) for x in texts]
+            texts = [None if x is None else " ".join(x) for x in tokens]
         how = {"general_text": dict(grams="word"), "pooled_text": dict(grams="char", norm=True), "magnitude_text": dict(grams="word", seed=3, norm=True)}[self.kind]
         prefix = "search_document: " if self.kind == "general_text" else ""
         return np.stack([np.full(768, np.nan) if x is None else hashed_text(prefix + x, **how) for x in texts])
