@@ -105,12 +105,14 @@ def within(v, cut: tuple):
 
 
 def mix(docs: DataFrame, weights=WEIGHTS, budget: float = BUDGET, most: int = MOST, seed: str = SEED) -> DataFrame:
-    """doc_id, source, size, source_size, target, times (0 to 2), taken, v (virtual time of the first pass)."""
-    own = written(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), F.size(words_of("text")).cast("long").alias("size")))
+    """doc_id, source, size, source_size, target, times (0 to 2), taken, v (virtual time of the first pass);
+    ``row_key`` is handed on if ``docs`` has it."""
+    more = [c for c in ("row_key",) if c in docs.columns]
+    own = written(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), F.size(words_of("text")).cast("long").alias("size"), *more))
     targets = source_targets(own.groupBy("source").agg(F.sum("size").alias("source_size")), weights, budget, most)
     total = budget * (own.agg(F.sum("size")).first()[0] or 0)
     times = written(timed(own, targets, seed))
     cut = cut_of(times, total)
     some = (F.col("size") > 0) & (F.col("target") > 0)
     n = F.when(some & within(F.col("v"), cut), 1).otherwise(0) + F.when(some & within(F.col("v") + F.col("source_size") / F.col("target"), cut), 1).otherwise(0)
-    return times.withColumn("times", n).select("doc_id", "source", "size", "source_size", "target", "times", (F.col("times") * F.col("size")).cast("long").alias("taken"), "v", "h")
+    return times.withColumn("times", n).select("doc_id", "source", "size", "source_size", "target", "times", (F.col("times") * F.col("size")).cast("long").alias("taken"), "v", "h", *more)
