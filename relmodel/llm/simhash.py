@@ -27,13 +27,20 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from relmodel.llm import _grams as G
-from relmodel.llm import similar
 from relmodel.llm._common import components, text_of, written
 
 CROWD, BLOCK, MANY = 32, 4096, 1 << 18
 STEP = np.uint64(0x9E3779B97F4A7C15)
 
 
+def majority(h: np.ndarray) -> np.uint64:
+    """The bits that are set in over half of the hashes (none: 0)."""
+    ones = np.zeros(64, np.int64)
+    for s in range(0, len(h), 1 << 15):
+        ones += np.unpackbits(h[s : s + (1 << 15)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    return np.packbits(2 * ones > len(h), bitorder="little").view(np.uint64)[0]
+
+
 def sketch(data: bytes, shingle: int, words64: int) -> np.ndarray:
     """Majority bits of the shingle hashes as ``words64`` 64-bit words; the first word's hash is
     XXH64 with seed 42, further words mix it anew."""
@@ -49,11 +56,7 @@ def sketch(data: bytes, shingle: int, words64: int) -> np.ndarray:
     digest = xxhash.xxh64_intdigest
     h = np.fromiter((digest(text[s:e], 42) for s, e in zip(start[: len(words) - k + 1].tolist(), end[k - 1 :].tolist())), np.uint64, len(words) - k + 1)
     for j in range(words64):
-        x = h if j == 0 else G.mix(h + np.uint64(int(STEP) * j % 2**64))
-        ones = np.zeros(64, np.int64)
-        for s in range(0, len(x), 1 << 15):
-            ones += np.unpackbits(x[s : s + (1 << 15)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-        out[j] = np.packbits(2 * ones > len(x), bitorder="little").view(np.uint64)[0]
+        out[j] = majority(h if j == 0 else G.mix(h + np.uint64(int(STEP) * j % 2**64)))
     return out
 
 
@@ -256,19 +259,23 @@ def links(codes: DataFrame, radius: int, words64: int, parts: list[list[int]], t
     return out
 
 
+def code_links(codes: DataFrame, radius: int = 4, m: int | None = None) -> DataFrame:
+    """Links (a, b) of 64-bit codes (node, fp) by the generalised pigeonhole: m parts of correlated bits,
+    thresholds by dynamic programming, so that every two codes within ``radius`` bits are connected."""
+    n = codes.count()
+    if n < 2:
+        return codes.select(F.col("node").alias("a"), F.col("node").alias("b")).limit(0)
+    m = m or (4 if n < 1 << 23 else 3)  # fewer, wider parts among more codes: the same links at less cost
+    parts = grouped_bits(correlations(codes, 1), n, m)
+    return links(codes, radius, 1, parts, thresholds(distances(codes, parts), n, radius - m + 1))
+
+
 def near_components(docs: DataFrame, shingle: int = 4, radius: int = 4) -> DataFrame:
     """(doc, fp, component) per row of (doc, body): 64-bit fingerprints linked within ``radius`` bits."""
     rows = written(fingerprints(docs, shingle))
     codes = written(rows.where("doc IS NOT NULL").groupBy("fp").agg(F.min("doc").alias("node")))
     # One node is one doc_id: rows that share it are linked below through their codes.
-    n = codes.count()
-    m = 4 if n < 1 << 23 else 3
-    if n > 1:
-        parts = grouped_bits(correlations(codes, 1), n, m)
-        t = thresholds(distances(codes, parts), n, radius - m + 1)
-        found = links(codes, radius, 1, parts, t)
-    else:
-        found = codes.select(F.col("node").alias("a"), F.col("node").alias("b")).limit(0)
+    found = code_links(codes, radius)
     own = rows.join(codes, "fp", "left")
     shared = own.where("doc IS NOT NULL").groupBy("doc").agg(F.min("node").alias("a"), F.max("node").alias("b")).where("a <> b").select("a", "b")
     label = components(found.union(shared))
@@ -285,5 +292,7 @@ def simhash_dedup(docs: DataFrame, shingle: int = 4, radius: int = 4) -> DataFra
 def similar_components(docs: DataFrame, shingle: int = 5, similarity: float = 0.8) -> DataFrame:
     """(doc, component): documents whose sets of word shingles have a Jaccard similarity of at least
     ``similarity``, linked; component = smallest doc reachable. Exact, see ``relmodel.llm.similar``."""
+    from relmodel.llm import similar  # which uses this module
+
     own = written(similar.similar_sets(docs.withColumn("key", F.xxhash64("body")), shingle, similarity).select("doc", "component").distinct())
     return own.join(own.groupBy("component").agg(F.min("doc").alias("first")), "component").select("doc", F.col("first").alias("component"))
