@@ -8,8 +8,9 @@ polynomial hashes. Neighbours' extensions are verified on the bytes, and a group
 collision is sorted again by its bytes. Longest common extensions of neighbours then tell, for each
 offset of a string around the anchor, which occurrences are equal; all but the first are removed.
 
-Skew: equal contexts inside a batch are combined before the shuffle, and anchors with more than
-``HOT`` occurrences are dealt out by single strings instead of by anchor.
+Skew: equal contexts inside a batch are combined before the shuffle. Anchors with more than ``HOT``
+occurrences are taken apart into single strings, whose first places are an aggregate with map-side
+combination, so no task meets all of them; the other anchors are solved in units of ``UNIT`` bytes.
 
 Null text is empty; a null doc_id takes no part. Rows that share a doc_id count as one document.
 Texts shorter than ``length`` keep all bytes. Other columns are ignored.
@@ -19,6 +20,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -26,7 +28,7 @@ from relmodel.llm import _grams as G
 from relmodel.llm._common import drop_written, text_of, written
 from relmodel.llm.substring import copies_of
 
-LENGTH, GRAM, HOT = 100, 40, 2000
+LENGTH, GRAM, HOT, UNIT = 100, 40, 2000, 1 << 21
 PRIME = np.uint64(2147483629)
 _pow: dict[int, np.ndarray] = {}
 
@@ -181,8 +183,8 @@ CONTEXT = "g long, doc long, pos int, off int, wins int, ctx binary"
 
 
 def _contexts(length: int, gram: int):
-    """Contexts of repeated anchors, equal ones of a chunk combined. ``wins`` < 0: not a context but
-    -wins strings from ``pos`` on that are known to occur earlier."""
+    """Contexts of repeated anchors, equal ones of a chunk combined. ``wins`` = 0: a single string of a hot
+    anchor; ``wins`` < 0: not a context but -wins strings from ``pos`` on that are known to occur earlier."""
 
     def emit(g, doc, pos, off, wins, ctx):
         return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip((g, doc, pos, off, wins, ctx), (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.binary()))], names=["g", "doc", "pos", "off", "wins", "ctx"])
@@ -214,15 +216,16 @@ def _contexts(length: int, gram: int):
                     p1 = np.where(hot, p0, p1[k])
                     own = G.span_hash(G.prefix(G.BYTE_VALUES[part], G.BASE), p0, p0 + length, G.BASE)
                     row, at, h = row[k], np.where(hot, p0, at[k]), np.where(hot, own, h[k])
+                wins = np.where(hot, 0, p1 - p0 + 1)
                 d, pos, body = doc[row + i], at - o[row], part.tobytes()
                 order = np.lexsort((pos, d, h))
                 seen: dict[tuple, int] = {}
                 out, dup = [], []
                 last = None
-                for q, (hq, x, y, z) in enumerate(zip(h[order].tolist(), p0[order].tolist(), (p1[order] + length).tolist(), at[order].tolist())):
+                for q, (hq, x, y, z, n) in enumerate(zip(h[order].tolist(), p0[order].tolist(), (p1[order] + length).tolist(), at[order].tolist(), wins[order].tolist())):
                     if hq != last:
                         seen, last = {}, hq
-                    key = (z - x, body[x:y])
+                    key = (z - x, body[x:y], n)
                     place = (d[order[q]], pos[order[q]])
                     if key not in seen:
                         seen[key] = place
@@ -233,13 +236,14 @@ def _contexts(length: int, gram: int):
                     q = order[dup]
                     yield emit(np.zeros(len(q), np.int64), d[q], (p0[q] - o[row[q]]).astype(np.int32), np.zeros(len(q), np.int32), (p0[q] - p1[q] - 1).astype(np.int32), [None] * len(q))
                 q = order[[x for x, _ in out]]
-                yield emit(h[q].view(np.int64), d[q], pos[q].astype(np.int32), np.array([x[0] for _, x in out], np.int32), (p1[q] - p0[q] + 1).astype(np.int32), [x[1] for _, x in out])
+                yield emit(h[q].view(np.int64), d[q], pos[q].astype(np.int32), np.array([x[0] for _, x in out], np.int32), wins[q].astype(np.int32), [x[1] for _, x in out])
 
     return run
 
 
-def _spans(length: int, most: int = 60_000):
-    """Sorted contexts of whole anchors in, removed byte spans (doc, a, z) out."""
+def _spans(length: int, unit: int = UNIT):
+    """Sorted contexts of whole anchors in, removed byte spans (doc, a, z) out; solved in units of about
+    ``unit`` bytes of contexts and one anchor more (at most HOT contexts)."""
 
     def solve(t: pa.Table):
         g, doc, pos, off, wins = (t.column(c).to_numpy() for c in ("g", "doc", "pos", "off", "wins"))
@@ -262,22 +266,21 @@ def _spans(length: int, most: int = 60_000):
 
     def run(batches):
         held: list[pa.RecordBatch] = []
-        count = 0
+        size = 0
         for b in batches:
-            if not b.num_rows:
-                continue
-            held.append(b)
-            count += b.num_rows
-            if count < most:
-                continue
-            t = pa.Table.from_batches(held)
-            g = t.column("g").to_numpy()
-            cut = int(np.searchsorted(g, g[-1], "left"))  # the last anchor may go on in the next batch
-            if cut:
-                if (out := solve(t.slice(0, cut))) is not None:
-                    yield out
-                held = t.slice(cut).to_batches()
-                count = t.num_rows - cut
+            for i in range(0, b.num_rows, 2048):
+                held.append(b.slice(i, 2048))
+                size += pc.sum(pc.binary_length(held[-1].column("ctx"))).as_py()
+                if size < unit:
+                    continue
+                t = pa.Table.from_batches(held)
+                g = t.column("g").to_numpy()
+                cut = int(np.searchsorted(g, g[-1], "left"))  # the last anchor may go on in the next batch
+                if cut:
+                    if (out := solve(t.slice(0, cut))) is not None:
+                        yield out
+                    held = t.slice(cut).combine_chunks().to_batches()
+                    size = sum(pc.sum(pc.binary_length(x.column("ctx"))).as_py() for x in held)
         if held and (out := solve(pa.Table.from_batches(held))) is not None:
             yield out
 
@@ -295,7 +298,11 @@ def removed_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
     ctx = written(own.join(at, "doc").mapInArrow(_contexts(length, gram), CONTEXT))
     met = ctx.where("wins > 0").repartition("g").sortWithinPartitions("g").mapInArrow(_spans(length), "doc long, a int, z int")
     sure = ctx.where("wins < 0").select("doc", F.col("pos").alias("a"), (F.col("pos") - F.col("wins") - 1 + length).cast("int").alias("z"))
-    spans = written(met.union(sure).groupBy("doc").agg(F.collect_list(F.struct("a", "z")).alias("spans")))
+    single = ctx.where("wins = 0").select("g", "ctx", F.struct("doc", "pos").alias("place"))
+    first = single.groupBy("g", "ctx").agg(F.min("place").alias("first"), F.max("place").alias("last")).where("first < last").drop("last")
+    single = single.join(first, ["g", "ctx"]).where("place > first")  # its skew is split at run time
+    single = single.select("place.doc", F.col("place.pos").alias("a"), (F.col("place.pos") + length).cast("int").alias("z"))
+    spans = written(met.union(sure).union(single).groupBy("doc").agg(F.collect_list(F.struct("a", "z")).alias("spans")))
     drop_written(at, ctx)
     return spans, copies
 
