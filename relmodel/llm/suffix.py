@@ -9,8 +9,8 @@ collision is sorted again by its bytes. Longest common extensions of neighbours
 offset of a string around the anchor, which occurrences are equal; all but the first are removed.
 
 Skew: equal contexts inside a batch are combined before the shuffle. Anchors with more than ``HOT``
-occurrences are taken apart into single strings, whose first places are an aggregate with map-side
-combination, so no task meets all of them; the other anchors are solved in units of ``UNIT`` bytes.
+occurrences are taken apart into single strings, at most one row of each a 4 MB chunk, which a running
+window reads in order without holding them; the other anchors are solved in units of ``UNIT`` bytes.
 
 Null text is empty; a null doc_id takes no part. Rows that share a doc_id count as one document.
 Texts shorter than ``length`` keep all bytes. Other columns are ignored.
@@ -21,7 +21,7 @@ from __future__ import annotations
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from relmodel.llm import _grams as G
@@ -299,8 +299,8 @@ def removed_spans(docs: DataFrame, length: int = LENGTH, gram: int = GRAM, hot:
     met = ctx.where("wins > 0").repartition("g").sortWithinPartitions("g").mapInArrow(_spans(length), "doc long, a int, z int")
     sure = ctx.where("wins < 0").select("doc", F.col("pos").alias("a"), (F.col("pos") - F.col("wins") - 1 + length).cast("int").alias("z"))
     single = ctx.where("wins = 0").select("g", "ctx", F.struct("doc", "pos").alias("place"))
-    first = single.groupBy("g", "ctx").agg(F.min("place").alias("first"), F.max("place").alias("last")).where("first < last").drop("last")
-    single = single.join(first, ["g", "ctx"]).where("place > first")  # its skew is split at run time
+    first = F.first("place").over(Window.partitionBy("g", "ctx").orderBy("place").rowsBetween(Window.unboundedPreceding, 0))
+    single = single.withColumn("first", first).where("place > first")  # read in order, nothing is held
     single = single.select("place.doc", F.col("place.pos").alias("a"), (F.col("place.pos") + length).cast("int").alias("z"))
     spans = written(met.union(sure).union(single).groupBy("doc").agg(F.collect_list(F.struct("a", "z")).alias("spans")))
     drop_written(at, ctx)
