@@ -4,14 +4,12 @@ from __future__ import annotations
 
 import atexit
 import gc
-import os
-import tempfile
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from relmodel.session import importable
+from relmodel.session import importable, shared_folder
 
 #: The six ASCII white-space characters that separate words.
 SPACE_CHARS = " \t\n\x0b\x0c\r"
@@ -37,9 +35,8 @@ def words_of(col: Column | str) -> Column:
 
 
 def work_path(spark: SparkSession) -> str:
-    """A new path in the shared folder that the session names; a local one only where none is named."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or os.path.join(tempfile.gettempdir(), "relmodel-work")
-    return f"{base.rstrip('/')}/relmodel-{uuid.uuid4().hex}"
+    """A new path in the folder that the session's executors share."""
+    return f"{shared_folder(spark)}/relmodel-{uuid.uuid4().hex}"
 
 
 def written(df: DataFrame) -> DataFrame:

@@ -1,14 +1,15 @@
 """Operator 3: substring dedup over word windows by level-wise doubling.
 
-Level one looks at windows of half the wanted length. Only those found in two different documents
-are extended to twice that length, and only windows of full length found again make words go; a
-level with no survivor ends the search. At level one a document shows only the half window with
-the least hash of each full window (content-defined, so equal full windows show equal halves):
-all repeats are found while a fraction of the positions is shuffled.
+The levels look at windows of about a quarter (``LEAST`` words or a little less), a half and then all of
+the wanted length. Only what stands in two different texts at one length goes on to twice that length,
+and the search ends at a level that nothing survives. Below the full length a document shows, for each
+full window that is still a candidate, only the shorter window with the least hash inside it
+(content-defined, so equal full windows show equal parts): all repeats are found while a fraction of
+the positions is shuffled.
 
 Null text is an empty text; a null doc_id takes no part (the row comes back unchanged). Rows that
 share a doc_id count as one document and each gets the same cuts. Texts shorter than the window
-keep all words. Other columns are ignored.
+keep all words; very long texts are searched in full. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ from pyspark.sql import functions as F
 from relmodel.llm import _grams as G
 from relmodel.llm._common import drop_written, text_of, written
 
-WINDOW = 50
+WINDOW, LEAST = 50, 13
 ODD = np.uint64(0xA24BAED4963EE407)
 
 
@@ -35,17 +36,46 @@ def _docs(docs: DataFrame) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc"), text_of("text").alias("body"))
 
 
-def _half_windows(window: int):
-    half = (window + 1) // 2
+def levels(window: int, least: int = LEAST) -> list[int]:
+    """Lengths before the full one, each half of the next, down to ``least`` or one halving."""
+    out: list[int] = []
+    n = window
+    while n > 1 and (not out or n > least):
+        n = (n + 1) // 2
+        out.insert(0, n)
+    return out
+
+
+def _kept(b: pa.RecordBatch):
+    """Reads column ``at``: a function of (row, first word of the row) that gives its places in the buffer."""
+    flat, lo = b.column("at").flatten().to_numpy(), np.append(0, np.cumsum(b.column("at").value_lengths().to_numpy()))
+    return lambda r, first: flat[lo[r] : lo[r + 1]] + first
+
+
+def _level(window: int, length: int, before: int | None):
+    """Parts of ``length`` words of the windows whose part at the level ``before`` repeats (None: all)."""
 
     def run(batches):
         for b in batches:
             raw, off = G.text_buffer(b.column("body"))
             doc, c = b.column("doc").to_numpy(zero_copy_only=False), b.column("c").to_numpy(zero_copy_only=False)
+            kept = None if before is None else _kept(b)
             for i, j in G.chunks(off):
                 part, o = raw[off[i] : off[j]], off[i : j + 1] - off[i]
                 s, e, first = G.word_spans(part, o)
-                row, at, _, _, h = G.anchor_runs(G.word_values(part, s, e), first, half, window)
+                values = G.word_values(part, s, e)
+                row, at, p0, p1, h = G.anchor_runs(values, first, length, window)
+                if before is not None and len(row):
+                    keep = np.zeros(len(values) + 1, bool)
+                    for r in range(i, j):
+                        keep[kept(r, first[r - i])] = True
+                    _, old, q0, q1, _ = G.anchor_runs(values, first, before, window)
+                    open_ = np.zeros(len(values) + 2, np.int64)  # candidates among the windows, as starts
+                    np.add.at(open_, q0[keep[old]], 1)
+                    np.add.at(open_, q1[keep[old]] + 1, -1)
+                    count = np.append(0, np.cumsum(np.cumsum(open_) > 0))
+                    take = count[p1 + 1] > count[p0]
+                    row, at, h = row[take], at[take], h[take]
                 if len(row):
                     yield pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(c[row + i]), pa.array(doc[row + i]), pa.array((at - first[row]).astype(np.int32))], names=["h", "c", "doc", "pos"])
 
@@ -53,14 +83,13 @@ def _half_windows(window: int):
 
 
 def _full_windows(window: int):
-    """Windows of full length around half windows that are known to repeat; two hashes, 96 bits."""
-    half = (window + 1) // 2
+    """Windows of full length around parts of the last level that repeat; two hashes, 96 bits."""
+    half = levels(window)[-1]
 
     def run(batches):
         for b in batches:
             raw, off = G.text_buffer(b.column("body"))
-            doc, lists = b.column("doc").to_numpy(zero_copy_only=False), b.column("at")
-            flat, lo = lists.flatten().to_numpy(), np.append(0, np.cumsum(lists.value_lengths().to_numpy()))
+            doc, kept = b.column("doc").to_numpy(zero_copy_only=False), _kept(b)
             for i, j in G.chunks(off):
                 part, o = raw[off[i] : off[j]], off[i : j + 1] - off[i]
                 s, e, first = G.word_spans(part, o)
@@ -68,7 +97,7 @@ def _full_windows(window: int):
                 row, at, p0, p1, h = G.anchor_runs(values, first, half, window)
                 keep = np.zeros(len(values) + 1, bool)
                 for r in range(i, j):
-                    keep[flat[lo[r] : lo[r + 1]] + first[r - i]] = True
+                    keep[kept(r, first[r - i])] = True
                 take = keep[at]
                 row, p0, p1 = row[take], p0[take], p1[take]
                 if not len(row):
@@ -122,10 +151,18 @@ def repeated_windows(docs: DataFrame, window: int = WINDOW) -> tuple[DataFrame,
     """((doc, at): starts of windows to remove per document, (doc): whole copies)."""
     own = _docs(docs).where("doc IS NOT NULL")
     copies = written(copies_of(own))
-    halves = own.withColumn("c", F.xxhash64("body")).mapInArrow(_half_windows(window), "h long, c long, doc long, pos int")
-    again = halves.groupBy("h").agg(F.min("c").alias("a"), F.max("c").alias("z")).where("a <> z").select("h")
-    at = halves.select("h", "doc", "pos").join(again, "h").join(copies, "doc", "left_anti")
-    at = written(at.groupBy("doc").agg(F.collect_list("pos").alias("at")))
+    at, before = None, None
+    for length in levels(window):
+        left = own if at is None else own.join(at, "doc")
+        parts = left.withColumn("c", F.xxhash64("body")).mapInArrow(_level(window, length, before), "h long, c long, doc long, pos int")
+        again = parts.groupBy("h").agg(F.min("c").alias("a"), F.max("c").alias("z")).where("a <> z").select("h")
+        found = parts.select("h", "doc", "pos").join(again, "h").join(copies, "doc", "left_anti")
+        found = written(found.groupBy("doc").agg(F.collect_list("pos").alias("at")))
+        if at is not None:
+            drop_written(at)
+        at, before = found, length
+        if at.isEmpty():
+            return at, copies
     full = written(own.join(at, "doc").mapInArrow(_full_windows(window), "k long, k2 int, doc long, pos int"))
     first = full.groupBy("k", "k2").agg(F.min("doc").alias("first"), F.max("doc").alias("last")).where("first < last").drop("last")
     out = written(full.join(first, ["k", "k2"]).where("doc > first").groupBy("doc").agg(F.collect_list("pos").alias("at")))
