@@ -7,8 +7,10 @@ it are compared, a match scoring 1 and a mismatch -2, and the best run's score d
 
 Items shorter than a mask get a solid mask of their own length. The seeds of the benchmark are
 broadcast while they number at most ``MOST_BROADCAST``, else both sides are shuffled by hash.
-Null texts and items have no tokens and never match; repeated rows give repeated findings once per
-(doc_id, item_id). Other columns are ignored.
+Texts are followed by their hash, so documents that share a doc_id, or have none, are searched each on
+its own. Null texts and items have no tokens and never match; repeated rows give one finding per
+(doc_id, item_id), the best of them; very long texts are searched in full. Items that share an
+item_id, or have none, count as one item. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -51,19 +53,24 @@ def matches(docs: DataFrame, items: DataFrame, masks=MASKS, score: int = SCORE,
     masks = tuple(masks) + tuple("1" * n for n in short if n < shortest)
     test = written(seeds(item, ["item_id"], masks).withColumnRenamed("pos", "at"))
     small = test.count() <= MOST_BROADCAST
-    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), tokens(text_of("text")).alias("t"))
-    hits = seeds(own, ["doc_id"], masks).join(F.broadcast(test) if small else test, "h")
-    lines = written(hits.select("doc_id", "item_id", (F.col("pos") - F.col("at")).alias("diagonal")).distinct())
-    found = lines.select("doc_id").distinct()
+    own = docs.select(F.xxhash64(text_of("text")).alias("key"), tokens(text_of("text")).alias("t"))
+    hits = seeds(own, ["key"], masks).join(F.broadcast(test) if small else test, "h")
+    lines = written(hits.select("key", "item_id", (F.col("pos") - F.col("at")).alias("diagonal")).distinct())
+    found = lines.select("key").distinct()
     few = found.limit(MOST_BROADCAST + 1).count() <= MOST_BROADCAST
-    some = own.join(F.broadcast(found) if few else found, "doc_id", "left_semi").join(lines, "doc_id")
-    some = some.join(F.broadcast(item.withColumnRenamed("t", "q")) if small else item.withColumnRenamed("t", "q"), "item_id")
+    own = own.join(F.broadcast(found) if few else found, "key", "left_semi").dropDuplicates(["key"])
+    full = item.select(F.col("item_id").alias("item"), F.col("t").alias("q"))
+    some = own.join(lines, "key").join(F.broadcast(full) if small else full, F.col("item_id").eqNullSafe(F.col("item")))
     begin = F.greatest(F.col("diagonal"), F.lit(0))
-    some = some.select("doc_id", "item_id", F.size("q").alias("n"), begin.alias("doc_pos"), F.slice("t", begin + 1, F.size("q")).alias("x"), F.slice("q", F.greatest(-F.col("diagonal"), F.lit(0)) + 1, F.size("q")).alias("y"))
+    some = some.select("key", "item_id", F.size("q").alias("n"), begin.alias("doc_pos"), F.slice("t", begin + 1, F.size("q")).alias("x"), F.slice("q", F.greatest(-F.col("diagonal"), F.lit(0)) + 1, F.size("q")).alias("y"))
     some = some.withColumn("same", F.zip_with("x", "y", lambda a, b: F.coalesce(a == b, F.lit(False))))
     best = F.aggregate("same", F.struct(F.lit(0).alias("run"), F.lit(0).alias("best")), lambda s, m: F.struct(
         F.greatest(F.lit(0), s["run"] + F.when(m, 1).otherwise(-2)).alias("run"), F.greatest(s["best"], s["run"] + F.when(m, 1).otherwise(-2)).alias("best")))["best"]
-    some = some.select("doc_id", "item_id", "n", "doc_pos", best.alias("score"), F.size(F.filter("same", lambda m: m)).alias("matched"))
+    some = some.select("key", "item_id", "n", "doc_pos", best.alias("score"), F.size(F.filter("same", lambda m: m)).alias("matched"))
     some = some.where(F.col("score") >= F.least(F.lit(score), F.ceil(F.col("n") * share)))
-    top = F.max(F.struct("score", "matched", -F.col("doc_pos")))
-    return some.groupBy("doc_id", "item_id").agg(top.alias("b")).select("doc_id", "item_id", F.col("b.score").alias("score"), F.col("b.matched").alias("matched"), (-F.col("b.col3")).cast("long").alias("doc_pos"))
+    top = F.max(F.struct("score", "matched", (-F.col("doc_pos")).alias("before")))
+    some = written(some.groupBy("key", "item_id").agg(top.alias("b")))
+    ids = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64(text_of("text")).alias("key"))
+    few = some.limit(MOST_BROADCAST + 1).count() <= MOST_BROADCAST
+    out = ids.join(F.broadcast(some) if few else some, "key").groupBy("doc_id", "item_id").agg(F.max("b").alias("b"))
+    return out.select("doc_id", "item_id", F.col("b.score").alias("score"), F.col("b.matched").alias("matched"), (-F.col("b.before")).cast("long").alias("doc_pos"))
