@@ -5,12 +5,14 @@ shapes, repetition and character statistics, then a learned layer), gated attent
 passages, and the weighted sum is scored. Encoder, attention and score are learned together from
 document labels alone.
 
-Training takes at most ``SAMPLE`` labelled documents outside the held-out fifth, in hash order, and at
-most ``BAG`` evenly spaced passages of each; both are parameters. Scoring takes every passage of
-every document. Labels, lang, source and doc_id are no inputs.
+Training takes labelled documents outside the held-out fifth, in hash order: at most ``SAMPLE`` of them
+and at most ``PASSAGES`` passages in all, each document with every passage it has or not at all; both
+are parameters. It runs ``EPOCHS`` rounds, and more where they are fewer than ``STEPS`` steps. Scoring
+takes every passage of every document. Labels, lang, source and doc_id are no inputs.
 
 Null and empty texts are one empty passage and are scored. Without labels, or with one class of
-labels, every score is the smoothed share of label 1. Repeated rows are scored alike.
+labels, every score is the smoothed share of label 1. Repeated rows are scored alike; of texts that
+share a labelled doc_id one, the first by hash, is learned from. Very long texts are read in full.
 """
 
 from __future__ import annotations
@@ -21,12 +23,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from relmodel.llm import _grams as G
-from relmodel.llm._common import text_of, written
+from relmodel.llm._common import text_of, words_of, written
 
-PASSAGE, SAMPLE, BAG = 64, 4000, 48
+PASSAGE, SAMPLE, PASSAGES = 64, 4000, 200_000
 WORDS, SHAPES, STATS = 64, 64, 9
 WIDTH = WORDS + SHAPES + STATS
-HIDDEN, GATE, EPOCHS, RATE = 32, 16, 12, 0.01
+HIDDEN, GATE, EPOCHS, STEPS, RATE = 32, 16, 12, 400, 0.01
 
 _kind = np.zeros((5, 256), np.int32)  # upper, lower, digit, mark, beyond ASCII
 _kind[0, 65:91] = _kind[1, 97:123] = _kind[2, 48:58] = _kind[4, 128:] = 1
@@ -99,10 +101,10 @@ def gradients(p: dict, x: np.ndarray, base: np.ndarray, label: np.ndarray) -> di
     return {"W": x.T @ dh, "b": dh.sum(axis=0), "V": f["h"].T @ dt, "U": f["h"].T @ dg, "w": (f["t"] * f["g"]).T @ ds, "c": f["z"].T @ d, "c0": np.array([d.sum()])}
 
 
-def train(x: np.ndarray, base: np.ndarray, label: np.ndarray, epochs: int = EPOCHS, rate: float = RATE, seed: int = 7) -> dict[str, np.ndarray]:
+def train(x: np.ndarray, base: np.ndarray, label: np.ndarray, epochs: int = EPOCHS, rate: float = RATE, seed: int = 7, steps: int = STEPS) -> dict[str, np.ndarray]:
     p, r = start_weights(seed), np.random.default_rng(seed)
     m, v, step = {k: 0.0 for k in p}, {k: 0.0 for k in p}, 0
-    for _ in range(epochs):
+    for _ in range(max(epochs, -(-64 * steps // max(1, len(label))))):
         order = r.permutation(len(label))
         for i in range(0, len(order), 64):
             bags = order[i : i + 64]
@@ -120,12 +122,22 @@ def held_out():
     return F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit("")).cast("binary")) % 5 == 0
 
 
-def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, bag: int = BAG):
+def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, most: int = PASSAGES):
     """Weights, or the share of label 1 where there is nothing to learn. Only the sample's features
-    come to the driver: at most sample × bag × WIDTH numbers."""
+    come to the driver: at most ``most`` × WIDTH numbers of two bytes."""
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality")).where("quality IN (0, 1) AND doc_id IS NOT NULL").where(~held_out())
     known = known.groupBy("doc_id").agg(F.max("quality").alias("quality")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
     known = written(known)
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of("text").alias("body")).withColumn("key", F.xxhash64("body"))
+    size = F.greatest(F.lit(1), F.ceil(F.size(words_of("body")) / PASSAGE))
+    sizes = own.join(F.broadcast(known), "doc_id").groupBy("doc_id").agg(F.min(F.struct("key", size.alias("n"))).alias("x"))
+    sizes = sorted(((r.doc_id, r.x.key, r.x.n) for r in sizes.collect()), key=lambda x: mixed(x[0]))  # at most the sample
+    taken, total = [], 0
+    for doc, key, n in sizes:
+        if total + n <= most:
+            total += n
+            taken.append((doc, key))
+    few = docs.sparkSession.createDataFrame(taken, "doc_id long, key long").join(known, "doc_id")
 
     def run(batches):
         for b in batches:
@@ -133,15 +145,11 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, bag: int = BAG
             out = []
             for i, j in G.chunks(off):
                 x, base = passages(raw[off[i] : off[j]], off[i : j + 1] - off[i])
-                for r in range(j - i):
-                    n = base[r + 1] - base[r]
-                    pick = base[r] + (np.arange(n) if n <= bag else np.arange(bag) * n // bag)
-                    out.append(x[pick].astype(np.float16).tobytes())
+                out += [x[base[r] : base[r + 1]].astype(np.float16).tobytes() for r in range(j - i)]
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("quality"), pa.array(out, pa.binary())], names=["doc_id", "quality", "x"])
 
-    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_of("text").alias("body"))
-    rows = own.join(F.broadcast(known), "doc_id").select("doc_id", "quality", "body").mapInArrow(run, "doc_id long, quality int, x binary")
-    rows = sorted(rows.collect(), key=lambda r: (r.doc_id, bytes(r.x)))  # at most the sample (more only by repeated rows)
+    rows = own.join(F.broadcast(few), ["doc_id", "key"]).select("doc_id", "quality", "body").mapInArrow(run, "doc_id long, quality int, x binary")
+    rows = sorted(rows.dropDuplicates(["doc_id"]).collect(), key=lambda r: r.doc_id)
     label = np.array([r.quality for r in rows], np.float64)
     if len(set(label)) < 2:
         return float((label.sum() + 1) / (len(label) + 2))
@@ -150,6 +158,11 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, bag: int = BAG
     return train(x, base, label)
 
 
+def mixed(doc: int) -> tuple[int, int]:
+    """A fixed pseudo-random order of ids."""
+    return int(G.mix(np.array([doc], np.int64).view(np.uint64))[0]), doc
+
+
 def quality_classifier(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> DataFrame:
     """doc_id, held_out, score, predicted per row of (doc_id, text)."""
     model = docs.sparkSession.sparkContext.broadcast(fit(docs, labels, sample))
