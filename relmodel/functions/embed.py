@@ -43,6 +43,17 @@ def time_features(ts: Column, base_year: int) -> list[Column]:
     return out
 
 
+def text_vector(text: Column, column: str, width: int = 16) -> Column:
+    """Frozen vector of (column name, text): each word adds or takes one at a place, both told by its
+    hash; scaled to length one. Null or without words: zeros."""
+    words = F.array_remove(F.split(F.lower(F.coalesce(text.cast("string"), F.lit(""))), r"[^\p{L}\p{N}]+"), "")
+    codes = F.transform(words, lambda w: F.conv(F.substring(F.md5(F.concat(F.lit(f"{column}:"), w).cast("binary")), 1, 6), 16, 10).cast("int"))
+    add = lambda i: F.aggregate(codes, F.lit(0), lambda s, h: s + F.when(F.pmod(F.shiftright(h, 1), F.lit(width)) == i, 2 * (h % 2) - 1).otherwise(0))
+    sums = F.transform(F.sequence(F.lit(0), F.lit(width - 1)), add)
+    norm = F.sqrt(F.aggregate(sums, F.lit(0), lambda s, v: s + v * v).cast("double"))
+    return F.transform(sums, lambda v: v / F.greatest(norm, F.lit(1.0)))
+
+
 def serialise(columns: dict[str, str]) -> Column:
     """A row as 'attribute value' pairs; nulls are left out."""
     return F.concat_ws(", ", *(F.when(F.col(c).isNotNull(), F.concat_ws(" ", F.lit(label), F.col(c).cast("string"))) for label, c in columns.items()))

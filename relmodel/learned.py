@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 
 import pandas as pd
 from pyspark.sql import functions as F
@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from relmodel.catalog import load
 from relmodel.nn.relational import Config, Step
 from relmodel.operators import slices
+from relmodel.session import shared_folder
 from relmodel.workloads import ORDER_CUTOFFS, TASKS, planted
 
 QUERIES = {}
@@ -25,26 +26,67 @@ def query(f):
 
 
 def split_column(entity):
-    """Three parts in a fixed pseudo-random order, for tasks at one cutoff."""
+    """Three parts in a fixed pseudo-random order, for rows without time (documents)."""
     h = F.pmod(F.xxhash64(entity), F.lit(10))
     return F.when(h < 6, "train").when(h < 8, "valid").otherwise("test")
 
 
+SPLITS = ("train", "valid", "test")
+
+
+def cutoffs_of(name: str) -> tuple[str, str, str]:
+    return TASKS[name].cutoffs if name in TASKS else ORDER_CUTOFFS
+
+
+def kind_of(name: str) -> str:
+    return "regression" if name in ("pl2", "pl3", "pl4") or (name in TASKS and TASKS[name].kind == "regression") else "binary"
+
+
+def task_labels(name: str, t):
+    """(entity_id, y, split) at the three cutoffs of a task, train before valid before test. Labels
+    of regressions are in units of the train part's deviation from its mean."""
+    if name in TASKS:
+        labels = slices.time_split(TASKS[name], t).select("entity_id", "y", "split")
+    else:
+        labels = None
+        for split, cut in zip(SPLITS, ORDER_CUTOFFS):
+            part = planted(name, t, cut).withColumn("split", F.lit(split))
+            labels = part if labels is None else labels.unionByName(part)
+    if kind_of(name) == "regression":
+        m = labels.where("split = 'train'").agg(F.avg("y"), F.stddev_pop("y")).first()
+        labels = labels.withColumn("y", (F.col("y") - F.lit(m[0] or 0.0)) / F.lit(m[1] or 1.0))
+    return labels
+
+
 def packed_parts(spark, sf, name: str, parts, seeds: int = 500, k: int = 16, strategy: str = "latest", steps=STEPS, target: str = "customer", skip=()):
-    """([packed rows per part], plan) of a task; labels of a cutoff see only the state at it. Parts:
-    ``sample`` (at most ``seeds`` of all), ``fit`` (at most ``seeds`` of train and valid), ``test``
-    (every test entity) and ``all`` (every entity)."""
+    """([packed rows per part], plan) of a task. Each split is packed at its own cutoff from the state
+    at it, and the encoder is fitted on the state at the train cutoff, so nothing later than a cutoff
+    reaches its rows. Parts: ``sample`` (at most ``seeds`` of the three splits), ``fit`` (at most
+    ``seeds`` of train and valid), ``past`` (train and valid as an earlier round: the valid cutoff is its
+    test, a fifth of train its valid part) and ``test``, ``all`` (every entity of the test cutoff)."""
     from relmodel.plans.packing import fit_plan, pack
 
     t = load(spark, sf, TABLES)
-    labels = planted(name, t) if name.startswith("pl") else slices.horizon_labels(TASKS[name], t, T).select("entity_id", "y")
-    if name in ("pl2",) or (name in TASKS and TASKS[name].kind == "regression"):
-        m = labels.agg(F.avg("y"), F.stddev_pop("y")).first()
-        labels = labels.withColumn("y", (F.col("y") - F.lit(m[0] or 0.0)) / F.lit(m[1] or 1.0))
-    labels = labels.withColumn("split", split_column("entity_id"))
-    pick = {"sample": lambda: slices.sample_seeds(labels, seeds), "fit": lambda: slices.sample_seeds(labels.where("split <> 'test'"), seeds), "test": lambda: labels.where("split = 'test'"), "all": lambda: labels}
-    plan = fit_plan(t, target, list(steps), skip, k=k, strategy=strategy)
-    return [pack(pick[p]().select(F.col("entity_id").cast("string").alias("seed_id"), "y", "split"), t, plan, as_of=T) for p in parts], plan
+    cuts = dict(zip(SPLITS, cutoffs_of(name)))
+    labels = task_labels(name, t)
+    plan = fit_plan(slices.state_at(slices.data_slice(t, target), cuts["train"]).tables, target, list(steps), skip, k=k, strategy=strategy)
+
+    def packed(split: str, most: int | None, marked=None):
+        own = labels.where(F.col("split") == split)
+        own = own if most is None else slices.sample_seeds(own, most)
+        mark = F.col("split") if marked is None else marked
+        return pack(own.select(F.col("entity_id").cast("string").alias("seed_id"), "y", mark.alias("split")), t, plan, as_of=cuts[split])
+
+    def part(p: str):
+        if p in ("test", "all"):
+            return packed("test", None)
+        if p == "past":
+            early = F.when(F.pmod(F.xxhash64("entity_id"), F.lit(5)) == 0, "valid").otherwise("train")
+            return packed("train", seeds * 2 // 3, early).unionByName(packed("valid", seeds - seeds * 2 // 3, F.lit("test")))
+        out = packed("train", seeds * (3 if p == "sample" else 4) // 5).unionByName(packed("valid", seeds // 5))
+        return out.unionByName(packed("test", seeds // 5)) if p == "sample" else out
+
+    return [part(p) for p in parts], plan
 
 
 def packed_task(spark, sf, name: str, **more):
@@ -54,12 +96,11 @@ def packed_task(spark, sf, name: str, **more):
 
 
 def study(spark, sf, name: str, specs: list[dict], **more):
-    """Fitted on a bounded sample, measured on every test entity."""
+    """Fitted on a bounded sample of the train and valid cutoffs, measured on every entity of the test cutoff."""
     from relmodel.nn.grid import run_grid
 
     (packed, test), plan = packed_parts(spark, sf, name, ["fit", "test"], **more)
-    task = "regression" if name in ("pl2", "pl3", "pl4") or (name in TASKS and TASKS[name].kind == "regression") else "binary"
-    specs = [{"target": plan.target, "d": 4, "layers": 1, "task": task, "train": TRAIN} | s for s in specs]
+    specs = [{"target": plan.target, "d": 4, "layers": 1, "task": kind_of(name), "train": TRAIN} | s for s in specs]
     return run_grid(packed, specs, plan.schemas(), plan.steps, test).withColumn("task", F.lit(name))
 
 
@@ -132,6 +173,39 @@ def w22_schema_richness(spark, sf):
     return study(spark, sf, "pl1", [{"augmented": False}, {"hops": 1}, {"hops": 2}])
 
 
+@query
+def w21_variability(spark, sf):
+    """Gain of augmentation by group of bases and task type, on PL1 and PL2."""
+    import json
+
+    from relmodel.operators.metrics import gain_summary, relative_gain
+
+    groups = {"mlp": "plain", "residual": "plain", "tokens": "attention", "ensemble": "ensemble"}
+    rows = []
+    for name in ("pl1", "pl2"):
+        got = {}
+        for r in study(spark, sf, name, [{"base": b, "augmented": a} for b in groups for a in (False, True)], seeds=200).collect():  # one row a run
+            c = json.loads(r.config)
+            got[c["base"], c["augmented"]] = float(r.metric)
+        rows += [(groups[b], kind_of(name), got[b, False], got[b, True]) for b in groups]
+    runs = spark.createDataFrame(rows, "grp string, kind string, base double, augmented double")
+    return gain_summary(runs.withColumn("gain", relative_gain(F.col("base"), F.col("augmented"), F.col("kind") == "binary")))
+
+
+@query
+def latency_ratio(spark, sf):
+    """Seconds to score every entity with the base alone and augmented, and their ratio."""
+    from relmodel.nn.train import model_of, score
+    from relmodel.operators.metrics import latency
+
+    (every,), plan = packed_parts(spark, sf, "pl1", ["all"])
+    path = f"{shared_folder(spark)}/relmodel-packed-{spark.sparkContext.applicationId}-{uuid.uuid4().hex}"
+    every.write.parquet(path)  # ego graphs are packed once; scoring them is what is timed
+    every, c = spark.read.parquet(path), Config(plan.target, plan.schemas(), plan.steps, d=4, layers=1)
+    base, both = (latency(score(every, c, model_of(c, a).start(), a), 2) for a in (False, True))
+    return spark.createDataFrame([(base, both, both / base)], "base_s double, augmented_s double, ratio double")
+
+
 @query
 def predict_mlp(spark, sf):
     return _trained(spark, sf, augmented=False, base="mlp")
@@ -142,7 +216,7 @@ def predict_augmented(spark, sf):
     return _trained(spark, sf, augmented=True, base="residual")
 
 
-def _trained(spark, sf, augmented, base, backend="grouped"):
+def _trained(spark, sf, augmented, base, backend="grouped", signals=False):
     """Fitted on a bounded sample; every entity of the cutoff is scored."""
     from relmodel.nn.train import TrainConfig, fit_grouped, fit_local_sgd, fit_sync, score
     import pickle
@@ -155,7 +229,8 @@ def _trained(spark, sf, augmented, base, backend="grouped"):
         params = pickle.loads(fit_grouped(packed, c, cfg, augmented).first().params)
     else:
         params, _ = (fit_sync if backend == "sync" else fit_local_sgd)(packed.where("split = 'train'").repartition(4, "seed_id"), c, cfg, augmented)
-    return score(every, c, params, augmented).select("seed_id", F.round("score", 6).alias("score"), F.size("signals").alias("n_signals"))
+    out = score(every, c, params, augmented).withColumn("score", F.round("score", 6))
+    return out if signals else out.select("seed_id", "score", F.size("signals").alias("n_signals"))
 
 
 @query
@@ -169,9 +244,10 @@ def train_local_sgd(spark, sf):
 
 
 def _tabular(spark, sf):
+    """Own columns of customers with labels of the train and the test cutoff."""
     t = load(spark, sf, ["customer", "orders"])
-    own = slices.horizon_labels(TASKS["customer_active"], t, T).join(t["customer"], F.col("entity_id") == F.col("c_custkey"))
-    own = own.select("entity_id", "y", "c_acctbal", "c_nationkey", "c_mktsegment").withColumn("split", split_column("entity_id"))
+    own = task_labels("customer_active", t).join(t["customer"], F.col("entity_id") == F.col("c_custkey"))
+    own = own.select("entity_id", "y", "c_acctbal", "c_nationkey", "c_mktsegment", "split")
     return own.where("split = 'train'"), own.where("split = 'test'")
 
 
@@ -180,7 +256,7 @@ def _library(kind):
         from relmodel.nn.spark_bases import fit_predict
 
         train, test = _tabular(spark, sf)
-        return fit_predict(train, test, ["c_acctbal", "c_nationkey"], ["c_mktsegment"], kind, "binary").select("entity_id", F.round("score", 6).alias("score"))
+        return fit_predict(train, test, ["c_acctbal"], ["c_nationkey", "c_mktsegment"], kind, "binary").select("entity_id", F.round("score", 6).alias("score"))
 
     QUERIES[f"base_{kind}"] = run
 
@@ -194,7 +270,7 @@ def _own_boost(name, **how):
         from relmodel.nn.boost import boost
 
         train, test = _tabular(spark, sf)
-        return boost(train, ["c_acctbal", "c_nationkey"], "y", rounds=3, **how).predict(test).select("entity_id", F.round("score", 6).alias("score"))
+        return boost(train, ["c_acctbal"], "y", rounds=3, categorical=("c_nationkey", "c_mktsegment"), **how).predict(test).select("entity_id", F.round("score", 6).alias("score"))
 
     QUERIES[name] = run
 
@@ -292,19 +368,53 @@ def proxy_scores(spark, sf):
     return score_pool(spark, [(b, Config("customer", plan.schemas(), plan.steps, d=4, base=b)) for b in NEURAL], rows)
 
 
-@query
-def dispatch_end_to_end(spark, sf):
-    """Calibrated proxies of a pool, best model, moving average, decision; PL1 and PL5."""
+POOL, RUNS = ("mlp", "residual"), 2
+
+
+def earlier_round(spark, sf, name: str, seeds: int = 240):
+    """What a task's earlier round left: (runs, raws). ``runs``: rows (model_id, run, augmented, perf) of
+    the pool trained at the first cutoff and measured at the second; ``raws``: their proxies
+    (model_id, proxy, raw) on that round's batch."""
+    import json
+
+    from relmodel.nn.grid import run_grid
+    from relmodel.nn.train import rows_of
+    from relmodel.plans import dispatch as d
+
+    (past,), plan = packed_parts(spark, sf, name, ["past"], seeds=seeds)
+    past = past.cache()
+    specs = [{"target": plan.target, "d": 4, "layers": 1, "task": kind_of(name), "train": TRAIN, "base": b, "seed": i, "augmented": a} for b in POOL for i in range(RUNS) for a in (False, True)]
+    got = [(json.loads(r.config), r.metric) for r in run_grid(past, specs, plan.schemas(), plan.steps).collect()]  # one row a run
+    runs = spark.createDataFrame([(c["base"], c["seed"], c["augmented"], float(v)) for c, v in got], "model_id string, run int, augmented boolean, perf double")
+    batch = rows_of(slices.sample_seeds(past.withColumn("entity_id", F.col("seed_id")).where("split <> 'test'"), d.PROBE).drop("entity_id").collect())  # bounded
+    pool = [(f"{b}#{i}", Config(plan.target, plan.schemas(), plan.steps, d=4, base=b, seed=i)) for b in POOL for i in range(RUNS)]
+    raws = d.score_pool(spark, pool, batch).withColumn("model_id", F.substring_index("model_id", "#", 1))
+    return runs, raws.where(F.col("proxy").isin("grad_norm", "naswot")).cache()
+
+
+def dispatched(spark, sf, name: str):
+    """(decision, runs of the earlier round) of one task: the pool's proxies at the starting weights on
+    the present batch, calibrated by the earlier round's, give the skill to expect of each base alone;
+    the ledger holds what augmented runs reached; the threshold decides."""
     from relmodel.nn.train import rows_of
     from relmodel.plans import dispatch as d
 
+    runs, raws = earlier_round(spark, sf, name)
+    (now,), plan = packed_parts(spark, sf, name, ["fit"], seeds=d.PROBE)
+    pool = [(b, Config(plan.target, plan.schemas(), plan.steps, d=4, base=b)) for b in POOL]
+    raw = d.score_pool(spark, pool, rows_of(now.collect())).where(F.col("proxy").isin("grad_norm", "naswot"))  # the probe batch, bounded
+    scores = d.expected_skill(d.calibrate(raw, raws), runs.where("NOT augmented"))
+    best = d.select_base(scores).withColumn("task_key", F.lit(name))
+    ledger = runs.where("augmented").select("model_id", F.lit(name).alias("task_key"), F.col("run").alias("step"), "perf")
+    return d.decisions(best, d.ema(ledger)), runs
+
+
+@query
+def dispatch_end_to_end(spark, sf):
+    """Calibrated proxies of a pool, best model, moving average of earlier runs, decision."""
     out = None
-    for name, past in (("pl1", 0.95), ("pl5", 0.05)):
-        packed, plan = packed_task(spark, sf, name, seeds=128)
-        raw = d.score_pool(spark, [(b, Config("customer", plan.schemas(), plan.steps, d=4, base=b)) for b in ("mlp", "residual")], rows_of(packed.collect()))
-        best = d.select_base(d.combine_proxies(raw)).withColumn("task_key", F.lit(name))
-        ledger = spark.createDataFrame([(m, name, i, past) for m in ("mlp", "residual") for i in range(3)], "model_id string, task_key string, step int, perf double")
-        got = d.decisions(best, d.ema(ledger))
+    for name in ("pl1", "pl5"):
+        got = dispatched(spark, sf, name)[0]
         out = got if out is None else out.unionAll(got)
     return out
 
@@ -339,33 +449,39 @@ def report_document(spark, sf):
 
 @query
 def explain_udtf(spark, sf):
-    """Importance of one entity's signals as a table function."""
+    """Every entity's signals as rows of a table function, from a fitted model's predictions."""
     from pyspark.sql.functions import udtf
 
-    @udtf(returnType="signal string, importance double")
+    @udtf(returnType="signal string, importance double, rank int")
     class ExpandSignals:
-        def eval(self, names: str, weights: str):
-            alpha = [float(x) for x in weights.split(",")]
-            n = len(alpha)
-            for name, a in zip(names.split(","), alpha):
-                yield name, max((a - 1 / n) / (1 - 1 / n), 0.0) if n > 1 else 0.0
+        def eval(self, signals: list):
+            ranked = sorted(((r["importance"], r["signal"]) for r in signals or []), key=lambda x: (-x[0], x[1]))
+            for i, (v, name) in enumerate(ranked):
+                yield name, v, i + 1
 
     spark.udtf.register("expand_signals", ExpandSignals)
-    return spark.sql("SELECT * FROM expand_signals('self,orders(sum),orders(max),orders(mean)', '0.1,0.6,0.2,0.1')")
+    preds = _trained(spark, sf, augmented=True, base="residual", signals=True)
+    return spark.sql("SELECT seed_id, s.signal, round(s.importance, 6) AS importance, s.rank FROM {p}, LATERAL expand_signals(signals) s", p=preds)
 
 
 @query
 def model_registry(spark, sf):
+    """Two versions saved, listed, and loaded again: the loaded weights equal the saved ones."""
+    import numpy as np
+
     from relmodel.nn.layers import Schema
     from relmodel.nn.relational import BaseModel
-    from relmodel.sources.registry import list_models, save_model
+    from relmodel.sources.registry import list_models, load_model, save_model
 
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()
-    path = f"{base.rstrip('/')}/relmodel-registry-{spark.sparkContext.applicationId}"
+    path = f"{shared_folder(spark)}/relmodel-registry-{spark.sparkContext.applicationId}-{uuid.uuid4().hex}"
+    same = 0
     for seed in (0, 1):
         c = Config("t", {"t": Schema(["a"])}, (), d=4, seed=seed)
-        save_model(spark, path, "residual", "residual", "neural", BaseModel(c).start(), {"d": 4, "seed": seed})
-    return list_models(spark, path)
+        made = BaseModel(c).start()
+        version = save_model(spark, path, "residual", "residual", "neural", made, {"d": 4, "seed": seed})
+        back, config = load_model(spark, path, "residual", version)
+        same += config["seed"] == seed and all(np.array_equal(made[k], back[k]) for k in made)
+    return list_models(spark, path).withColumn("loaded_equal", F.lit(same))
 
 
 @query
@@ -397,22 +513,31 @@ def score_sql_udf(spark, sf):
 
 @query
 def dispatch_strategies(spark, sf):
-    """Never, always, conditional and best-of-both over two tasks, as share augmented
-    and skill lost."""
-    from relmodel.operators.metrics import dispatch_report
+    """The share of tasks augmented, the skill and the loss against the better choice of
+    never, always, conditional and best, of one model trained anew for each task, and of a stored pool."""
+    import json
 
-    out = None
+    from relmodel.nn.grid import run_grid
+    from relmodel.plans.dispatch import strategies
+
+    runs = decided = static = None
     for name in ("pl1", "pl5"):
-        got = study(spark, sf, name, [{"augmented": False}, {"augmented": True}], seeds=300).select("config", "metric").withColumn("task", F.lit(name))
-        out = got if out is None else out.unionAll(got)
-    wide = out.groupBy("task").agg(F.max(F.when(F.col("config").contains('"augmented": false'), F.col("metric"))).alias("direct"), F.max(F.when(F.col("config").contains('"augmented": true'), F.col("metric"))).alias("augmented"))
-    wide = spark.createDataFrame([r.asDict() for r in wide.collect()], "task string, direct double, augmented double")  # one row a task
-    rules = {"never": F.lit("direct"), "always": F.lit("augment"), "conditional": F.when(F.col("direct") >= 0.95 * 0.9, "direct").otherwise("augment"), "best": F.when(F.col("direct") >= F.col("augmented"), "direct").otherwise("augment")}
-    every = None
-    for k, rule in rules.items():
-        row = dispatch_report(wide.withColumn("decision", rule)).withColumn("strategy", F.lit(k))
-        every = row if every is None else every.unionAll(row)
-    return every
+        choice, past = dispatched(spark, sf, name)
+        (old, test), plan = packed_parts(spark, sf, name, ["past", "test"], seeds=240)
+        spec = {"target": plan.target, "d": 4, "layers": 1, "task": kind_of(name), "train": TRAIN}
+        stale = [(name, json.loads(r.config)["base"], float(r.metric)) for r in run_grid(old, [spec | {"base": b, "augmented": False} for b in POOL], plan.schemas(), plan.steps, test).collect()]
+        fresh = study(spark, sf, name, [{"base": b, "augmented": a} for b in POOL for a in (False, True)], seeds=300).collect()  # one row a run
+        got = {(json.loads(r.config)["base"], json.loads(r.config)["augmented"]): float(r.metric) for r in fresh}
+        parts = (
+            spark.createDataFrame([(name, b, got[b, False], got[b, True]) for b in POOL], "task_key string, model_id string, direct double, augmented double"),
+            choice.select("task_key", "model_id", "decision"),
+            spark.createDataFrame(stale, "task_key string, model_id string, stale double").join(past.where("NOT augmented").groupBy("model_id").agg(F.avg("perf").alias("past")), "model_id"),
+        )
+        runs, decided, static = parts if runs is None else (x.unionByName(y) for x, y in zip((runs, decided, static), parts))
+    every = strategies(runs, decided, static, "residual").cache()
+    top = every.groupBy("task_key").agg(F.max("skill").alias("top"))
+    out = every.join(top, "task_key").groupBy("strategy")
+    return out.agg(F.avg(F.when(F.col("decision") == "augment", 1.0).otherwise(0.0)).alias("augment_rate"), F.round(F.avg("skill"), 6).alias("skill"), F.round(F.avg(F.col("top") - F.col("skill")), 6).alias("regret"), F.sum("trained").cast("int").alias("trainings"))
 
 
 @query

@@ -62,22 +62,30 @@ def encoder_block(p, name, x, heads):
 
 
 class Schema:
-    """Attributes of one table: names of numerical ones and (name, vocabulary size) of categorical ones."""
+    """Attributes of one table: names of numbers and (name, vocabulary size) of categorical ones. The
+    last numbers belong together as ``vectors`` (name, width): one attribute each (E4, E5)."""
 
-    def __init__(self, numerical: list[str], categorical: list[tuple[str, int]] = ()):
-        self.numerical, self.categorical = list(numerical), list(categorical)
+    def __init__(self, numerical: list[str], categorical: list[tuple[str, int]] = (), vectors: list[tuple[str, int]] = ()):
+        self.numerical, self.categorical, self.vectors = list(numerical), list(categorical), list(vectors)
 
     @property
     def width(self):
         return len(self.numerical) + len(self.categorical)
 
+    @property
+    def single(self) -> int:
+        """How many numbers are attributes of their own."""
+        return len(self.numerical) - sum(n for _, n in self.vectors)
+
 
 def table_params(r, p: dict, name: str, s: Schema, d: int) -> None:
     """A direction and a bias per numerical column, a lookup table (row 0: unknown) and
-    a null vector per column, and a summary vector."""
-    p[f"{name}.dir"] = r.standard_normal((len(s.numerical), d)) / math.sqrt(d)
-    p[f"{name}.off"] = r.standard_normal((len(s.numerical), d)) / math.sqrt(d)
-    p[f"{name}.null"] = r.standard_normal((len(s.numerical), d)) / math.sqrt(d)
+    a null vector per column, a projection per vector (E4, E5), and a summary vector."""
+    p[f"{name}.dir"] = r.standard_normal((s.single, d)) / math.sqrt(d)
+    p[f"{name}.off"] = r.standard_normal((s.single, d)) / math.sqrt(d)
+    p[f"{name}.null"] = r.standard_normal((s.single, d)) / math.sqrt(d)
+    for c, n in s.vectors:
+        dense(r, p, f"{name}.vector.{c}", n, d)
     for c, n in s.categorical:
         p[f"{name}.embedding.{c}"] = r.standard_normal((n + 1, d)) / math.sqrt(d)
     p[f"{name}.cls"] = r.standard_normal((1, 1, d)) / math.sqrt(d)
@@ -85,12 +93,16 @@ def table_params(r, p: dict, name: str, s: Schema, d: int) -> None:
 
 def attributes(p, name: str, s: Schema, num: np.ndarray, cat: np.ndarray):
     """(B, M, d) attribute embeddings; NaN in a numerical column is a null."""
-    out = []
-    if s.numerical:
-        gone = np.isnan(num)[:, :, None]
-        x = np.where(np.isnan(num), 0, num)[:, :, None]
+    out, at = [], s.single
+    if at:
+        gone = np.isnan(num[:, :at])[:, :, None]
+        x = np.nan_to_num(num[:, :at])[:, :, None]
         z = t.lift(x) * p[f"{name}.dir"] + p[f"{name}.off"]
         out.append(z * (1.0 - gone) + p[f"{name}.null"] * gone.astype(float))
+    for c, n in s.vectors:
+        z = apply_dense(p, f"{name}.vector.{c}", t.lift(np.nan_to_num(num[:, at : at + n])))
+        out.append(t.reshape(z, (len(num), 1, z.shape[1])))
+        at += n
     for i, (c, _) in enumerate(s.categorical):
         e = t.take(p[f"{name}.embedding.{c}"], cat[:, i].astype(int))
         out.append(t.reshape(e, (e.shape[0], 1, e.shape[1])))

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import Window
@@ -12,6 +11,7 @@ from relmodel.catalog import load
 from relmodel.functions import vec
 from relmodel.operators import graph, slices
 from relmodel.plans import dispatch
+from relmodel.session import shared_folder
 from relmodel.streaming import stream
 from relmodel.workloads import ORDER_CUTOFFS, TASKS, label_sql
 
@@ -60,15 +60,8 @@ def proxy_rank_combine(spark, sf):
     return dispatch.combine_proxies(_proxies(spark, sf), ("click", "view"))
 
 
-@query("proxy_calibrated", f"WITH x AS ({_raw}) SELECT a.model_id, a.proxy, round(avg(CASE WHEN b.raw < a.raw THEN 1e0 WHEN b.raw = a.raw THEN 0.5e0 ELSE 0e0 END), 9) AS score FROM x a JOIN x b ON a.proxy = b.proxy AND b.model_id <> a.model_id || 'x' WHERE a.model_id IN ('m1', 'm2', 'm3') GROUP BY ALL")
+@query("proxy_calibrated", f"WITH x AS (SELECT proxy, raw, count(*) AS n FROM ({_raw}) GROUP BY ALL), r AS (SELECT proxy, raw, (sum(n) OVER (PARTITION BY proxy ORDER BY raw) - n / 2e0) / sum(n) OVER (PARTITION BY proxy) AS share FROM x) SELECT a.model_id, a.proxy, round(r.share, 9) AS score FROM ({_raw}) a JOIN r ON r.proxy = a.proxy AND r.raw = a.raw")
 def proxy_calibrated(spark, sf):
-    x = _proxies(spark, sf)
-    return dispatch.calibrate(x.where(F.col("model_id").isin("m1", "m2", "m3")), x).select("model_id", "proxy", F.round("score", 9).alias("score"))
-
-
-@query("proxy_calibrated_all", f"WITH x AS (SELECT proxy, raw, count(*) AS n FROM ({_raw}) GROUP BY ALL), r AS (SELECT proxy, raw, (sum(n) OVER (PARTITION BY proxy ORDER BY raw) - n / 2e0) / sum(n) OVER (PARTITION BY proxy) AS share FROM x) SELECT a.model_id, a.proxy, round(r.share, 9) AS score FROM ({_raw}) a JOIN r ON r.proxy = a.proxy AND r.raw = a.raw")
-def proxy_calibrated_all(spark, sf):
-    """Every model of the table; ``proxy_calibrated`` is three of them, as its SQL says."""
     x = _proxies(spark, sf)
     return dispatch.calibrate(x, x).select("model_id", "proxy", F.round("score", 9).alias("score"))
 
@@ -345,7 +338,7 @@ def session_windows_batch(spark, sf):
 def replay(spark, sf, build, mode: str = "append", key: list[str] | None = None):
     """Runs a streaming query over the event files to the end and returns what it wrote; in update
     mode the last row of each key."""
-    base = (spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()).rstrip("/")
+    base = shared_folder(spark)
     path = f"{base}/relmodel-stream-{uuid.uuid4().hex}"
     out = build(stream.event_stream(spark, f"{sf}/events.parquet"))
 
@@ -370,7 +363,7 @@ def stream_ingest(spark, sf):
 
 def _folder(spark, sf):
     """Streams read folders; a single Parquet file is copied into one in the shared folder."""
-    base = (spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()).rstrip("/")
+    base = shared_folder(spark)
     path = f"{base}/relmodel-events-{uuid.uuid4().hex}"
     load(spark, sf, ["events"])["events"].write.parquet(f"{path}/events.parquet")
     return path
@@ -412,8 +405,7 @@ def stream_stream_join(spark, sf):
 @query("source_round_trip", " UNION ALL ".join(f"SELECT '{f}' AS format, count(*) AS n FROM part" for f in ("csv", "json", "orc", "parquet")))
 def source_round_trip(spark, sf):
     """O2: every format gives the rows back."""
-    base = (spark.conf.get("spark.checkpoint.dir", None) or tempfile.gettempdir()).rstrip("/")
-    path, p, out = f"{base}/relmodel-formats-{uuid.uuid4().hex}", load(spark, sf, ["part"])["part"], None
+    path, p, out = f"{shared_folder(spark)}/relmodel-formats-{uuid.uuid4().hex}", load(spark, sf, ["part"])["part"], None
     for f in ("csv", "json", "orc", "parquet"):
         p.write.format(f).save(f"{path}/{f}")
         same = spark.read.schema(p.schema).format(f).load(f"{path}/{f}").intersectAll(p)
@@ -422,6 +414,52 @@ def source_round_trip(spark, sf):
     return out
 
 
+@query("table_round_trip", "SELECT s_nationkey, count(*) AS n, round(sum(s_acctbal), 2) AS balance FROM supplier GROUP BY s_nationkey")
+def table_round_trip(spark, sf):
+    """O3: a slice saved as a table of the catalog and read by its name."""
+    name = f"relmodel_{uuid.uuid4().hex}"
+    load(spark, sf, ["supplier"])["supplier"].write.option("path", f"{shared_folder(spark)}/{name}").saveAsTable(name)
+    return spark.table(name).groupBy("s_nationkey").agg(F.count("*").alias("n"), F.round(F.sum("s_acctbal"), 2).alias("balance"))
+
+
+@query("bucketed_join", "SELECT o_custkey, count(*) AS n, max(c_acctbal) AS balance FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY o_custkey")
+def bucketed_join(spark, sf):
+    """Two tables bucketed by the key join and aggregate without a shuffle."""
+    from relmodel.sources.registry import bucketed
+
+    t, names = load(spark, sf, ["orders", "customer"]), []
+    for n, key in (("orders", "o_custkey"), ("customer", "c_custkey")):
+        names.append(f"relmodel_{n}_{uuid.uuid4().hex}")
+        bucketed(t[n], names[-1], key, 8, f"{shared_folder(spark)}/{names[-1]}")
+    o, c = (spark.table(n) for n in names)
+    both = o.hint("merge").join(c, o.o_custkey == c.c_custkey)
+    return both.groupBy("o_custkey").agg(F.count("*").alias("n"), F.max("c_acctbal").alias("balance"))
+
+
+@query("online_scoring", "SELECT event_id, round(1 / (1 + exp(-(value - 50e0) / 10e0)), 6) AS score FROM events")
+def online_scoring(spark, sf):
+    """ST8: a stream of events scored batch by batch and appended."""
+    out = f"{shared_folder(spark)}/relmodel-online-{uuid.uuid4().hex}"
+    source = stream.event_stream(spark, f"{_folder(spark, sf)}/events.parquet")
+    rule = F.round(1 / (1 + F.exp(-(F.col("value") - 50.0) / 10.0)), 6)
+    stream.online_scores(source, lambda df: df.select("event_id", rule.alias("score")), f"{out}/rows", f"{out}/checkpoint").awaitTermination()
+    return spark.read.schema("event_id long, score double").parquet(f"{out}/rows")
+
+
+EMBED_WORDS = "SELECT p_partkey, unnest(list_filter(regexp_split_to_array(lower(p_name), '[^a-z0-9]+'), lambda x: x <> '')) AS w FROM part"
+
+
+@query("embed_text", f"""WITH c AS (SELECT p_partkey, ('0x' || substr(md5('p_name:' || w), 1, 6))::INT AS h FROM ({EMBED_WORDS})),
+s AS (SELECT p_partkey, (h // 2) % 16 AS i, sum(2 * (h % 2) - 1)::DOUBLE AS v FROM c GROUP BY ALL)
+SELECT p_partkey, i::INT AS i, round(v / sqrt(sum(v * v) OVER (PARTITION BY p_partkey)), 6) AS v FROM s WHERE v <> 0""")
+def embed_text(spark, sf):
+    """The frozen vector of a text column, as (key, place, value) without zeros."""
+    from relmodel.functions.embed import text_vector
+
+    p = load(spark, sf, ["part"])["part"]
+    return p.select("p_partkey", F.posexplode(text_vector(F.col("p_name"), "p_name")).alias("i", "v")).where("v <> 0").select("p_partkey", "i", F.round("v", 6).alias("v"))
+
+
 @query("plan_limits", None)
 def plan_limits(spark, sf):
     """What the sampling plan costs: the group limit must come before the shuffle."""

@@ -118,6 +118,37 @@ def calibrate(raw: DataFrame, past: DataFrame, parts: int = 64) -> DataFrame:
     return out.select("model_id", "proxy", "raw", F.coalesce(share, F.lit(0.5)).alias("score"))
 
 
+def expected_skill(shares: DataFrame, past: DataFrame) -> DataFrame:
+    """D13 on the ledger's scale: (model_id, score) from calibrated proxies (model_id, proxy, score) and
+    the skills (model_id, perf) that the base alone reached before: the mean share of its proxies, read
+    as a place between the least and the greatest of them. A model without past runs has no score."""
+    own = past.groupBy("model_id").agg(F.min("perf").alias("lo"), F.max("perf").alias("hi"))
+    mean = shares.groupBy("model_id").agg(F.avg("score").alias("share"))
+    return mean.join(own, "model_id").select("model_id", (F.col("lo") + F.col("share") * (F.col("hi") - F.col("lo"))).alias("score"))
+
+
+def strategies(runs: DataFrame, decided: DataFrame, static: DataFrame, general: str) -> DataFrame:
+    """(strategy, task_key, decision, skill, trained) of each way to answer the tasks.
+
+    ``runs`` (task_key, model_id, direct, augmented): skills after training for the task. ``decided``
+    (task_key, model_id, decision): the dispatcher's choice. ``static`` (task_key, model_id, stale, past):
+    the stored pool without new training. Never, always and best keep to the dispatcher's base;
+    ``retrain`` trains one general model, augmented, for every task; ``static_pool`` runs the stored
+    model that did best before. ``trained`` counts the trainings that the answer needs."""
+    own = decided.join(runs, ["task_key", "model_id"])
+
+    def rows(name, df, choice, skill, trained):
+        return df.select(F.lit(name).alias("strategy"), "task_key", choice.alias("decision"), skill.alias("skill"), trained.alias("trained"))
+
+    best = F.when(F.col("direct") >= F.col("augmented"), "direct").otherwise("augment")
+    skill = lambda c: F.when(c == "augment", F.col("augmented")).otherwise(F.col("direct"))
+    pool = static.groupBy("task_key").agg(F.max(F.struct("past", "model_id", "stale")).alias("b"))
+    out = rows("never", own, F.lit("direct"), F.col("direct"), F.lit(1)).unionAll(rows("always", own, F.lit("augment"), F.col("augmented"), F.lit(1)))
+    out = out.unionAll(rows("conditional", own, F.col("decision"), skill(F.col("decision")), F.lit(1))).unionAll(rows("best", own, best, skill(best), F.lit(2)))
+    out = out.unionAll(rows("retrain", runs.where(F.col("model_id") == general), F.lit("augment"), F.col("augmented"), F.lit(1)))
+    return out.unionAll(rows("static_pool", pool, F.lit("direct"), F.col("b.stale"), F.lit(0)))
+
+
 def select_base(scores: DataFrame) -> DataFrame:
     """C11: the best candidate; ties go to the first name."""
     return scores.orderBy(F.desc("score"), "model_id").limit(1)

@@ -12,11 +12,14 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from relmodel.catalog import CATALOG, Catalog, TableSpec, node_id
+from relmodel.functions.embed import text_vector
 from relmodel.nn.layers import Schema
 from relmodel.nn.relational import Step
 from relmodel.operators.graph import sample_neighbours
 from relmodel.operators.slices import at
 
+TEXT_WIDTH = 16
+
 
 @dataclass(frozen=True)
 class Encoder:
@@ -25,19 +28,24 @@ class Encoder:
     numerical: tuple[tuple[str, float, float], ...] = ()
     times: tuple[tuple[str, int], ...] = ()
     categorical: tuple[tuple[str, tuple[str, ...]], ...] = ()
+    texts: tuple[str, ...] = ()
 
     @property
     def schema(self) -> Schema:
-        time = [f"{c}.{f}" for c, _ in self.times for f in ("year", "month_sin", "month_cos", "day_sin", "day_cos")]
-        return Schema([c for c, _, _ in self.numerical] + time or ["one"], [(c, len(v)) for c, v in self.categorical])
+        vectors = [(c, 7) for c, _ in self.times] + [(c, TEXT_WIDTH) for c in self.texts]
+        parts = [f"{c}.{i}" for c, n in vectors for i in range(n)]
+        return Schema([c for c, _, _ in self.numerical] + parts or ["one"], [(c, len(v)) for c, v in self.categorical], vectors)
 
     def x(self):
+        """Numbers, then a vector per timestamp (E5: years since the base in tens; month, day and hour as
+        sine and cosine) and per text (E4)."""
         out = [(F.col(c).cast("double") - F.lit(m)) / F.lit(s) for c, m, s in self.numerical]
         for c, base in self.times:
-            out.append((F.year(c) - base).cast("double"))
-            for part, n in ((F.month(c), 12.0), (F.dayofmonth(c), 31.0)):
+            out.append((F.year(c) - base) / F.lit(10.0))
+            for part, n in ((F.month(c), 12.0), (F.dayofmonth(c), 31.0), (F.hour(c), 24.0)):
                 out += [F.sin(part * F.lit(6.283185307179586 / n)), F.cos(part * F.lit(6.283185307179586 / n))]
-        return F.array(*(out or [F.lit(1.0)]))
+        own = F.array(*(out or ([] if self.texts else [F.lit(1.0)]))).cast("array<double>")
+        return F.concat(own, *(text_vector(F.col(c), c, TEXT_WIDTH) for c in self.texts)) if self.texts else own
 
     def c(self):
         """Vocabulary places from 1 on, 0 for unknown values."""
@@ -46,19 +54,22 @@ class Encoder:
 
 
 def fit_encoder(df: DataFrame, spec: TableSpec, skip: tuple[str, ...] = (), cap: int = 64) -> Encoder:
-    """One pass for the numbers, one bounded count per categorical column."""
+    """One pass for the numbers, one bounded count per categorical column. Texts that name their row
+    (nearly all distinct) are left out."""
     have = [c for c in df.columns if c in spec.columns and c not in skip]
     num = [c for c in have if spec.columns[c] == "numerical"]
     tim = [c for c in have if spec.columns[c] == "timestamp"]
     cat = [c for c in have if spec.columns[c] == "categorical"]
-    row = df.agg(F.count("*"), *(f(c) for c in num for f in (F.avg, F.stddev_pop)), *(F.min(F.year(c)) for c in tim)).first()
+    txt = [c for c in have if spec.columns[c] == "text"]
+    row = df.agg(F.count("*"), *(f(c) for c in num for f in (F.avg, F.stddev_pop)), *(F.min(F.year(c)) for c in tim), *(F.approx_count_distinct(c) for c in txt)).first()
     numbers = tuple((c, float(row[1 + 2 * i] or 0), float(row[2 + 2 * i] or 0) or 1.0) for i, c in enumerate(num))
     times = tuple((c, int(row[1 + 2 * len(num) + i] or 2000)) for i, c in enumerate(tim))
     words = []
     for c in cat:
         top = df.where(F.col(c).isNotNull()).groupBy(F.col(c).cast("string").alias("v")).count().orderBy(F.desc("count"), "v").limit(cap)
         words.append((c, tuple(r.v for r in top.collect())))
-    return Encoder(numbers, times, tuple(words))
+    texts = tuple(c for c, n in zip(txt, row[1 + 2 * len(num) + len(tim) :]) if n < 0.8 * row[0])
+    return Encoder(numbers, times, tuple(words), texts)
 
 
 @dataclass(frozen=True)

@@ -1,8 +1,9 @@
-"""Lets Python workers import this package when the driver found it by path alone."""
+"""What the session gives: the folder that executors share, and workers that can import this package."""
 
 from __future__ import annotations
 
 import os
+import tempfile
 
 ROOT = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
 
@@ -14,3 +15,14 @@ def importable(spark) -> None:
     paths = [p for p in env.get("PYTHONPATH", "").split(os.pathsep) if p]
     if ROOT not in paths:
         env["PYTHONPATH"] = os.pathsep.join([*paths, ROOT])
+
+
+def shared_folder(spark) -> str:
+    """The folder of ``spark.checkpoint.dir``; a local one only where there is one machine and none is named."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if base:
+        return base.rstrip("/")
+    master = spark.sparkContext.master
+    if master != "local" and not master.startswith("local["):
+        raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+    return os.path.join(tempfile.gettempdir(), "relmodel-work")

@@ -68,6 +68,7 @@ class GridReader(DataSourceReader):
             yield (f"w{partition.value}d{d}", partition.value, d)
 
 
-def bucketed(df: DataFrame, table: str, key: str, buckets: int) -> None:
-    """A table whose joins on ``key`` need no shuffle."""
-    df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(table)
+def bucketed(df: DataFrame, table: str, key: str, buckets: int, path: str | None = None) -> None:
+    """A table whose joins on ``key`` need no shuffle; one file a bucket."""
+    out = df.repartition(buckets, key).write.mode("overwrite").bucketBy(buckets, key).sortBy(key)
+    (out.option("path", path) if path else out).saveAsTable(table)

@@ -29,5 +29,5 @@ def test_one_large_proxy_group_is_not_paired(spark):
 
 def test_query_covers_every_model(spark, sf):
     x = _proxies(spark, sf)
-    got = QUERIES["proxy_calibrated_all"](spark, sf)
+    got = QUERIES["proxy_calibrated"](spark, sf)
     assert sorted(map(tuple, got.select("model_id", "proxy").collect())) == sorted(map(tuple, x.select("model_id", "proxy").collect()))
