@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import hashlib
+import re
 
 import pyarrow as pa
 from pyspark.sql import functions as F
@@ -159,5 +160,35 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, {qua
   NOT ({quality.BASE_FAILED}) AND {quality.posterior_sql(end)} >= 0.5 AS kept FROM v, p{quality.ROUNDS} AS z"""
 
 
+def _op2_sql() -> str:
+    # Bytes as pairs of hex digits, so that positions are bytes.
+    return """
+WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS x, octet_length(encode(coalesce(text, '')))::BIGINT AS n FROM documents),
+w AS (SELECT doc_id, i, substr(x, 2 * i + 1, 200) AS k FROM (SELECT doc_id, x, unnest(range(0, n - 99)) AS i FROM d WHERE n >= 100)),
+r AS (SELECT doc_id, i FROM (SELECT doc_id, i, row_number() OVER (PARTITION BY k ORDER BY doc_id, i) AS c FROM w) WHERE c > 1),
+b AS (SELECT doc_id, i, CASE WHEN i <= lag(i) OVER (PARTITION BY doc_id ORDER BY i) + 100 THEN 0 ELSE 1 END AS fresh FROM r),
+s AS (SELECT doc_id, sum(fresh) OVER (PARTITION BY doc_id ORDER BY i) AS c, i FROM b),
+p AS (SELECT doc_id, c, min(i) AS a, max(i) + 100 AS z FROM s GROUP BY doc_id, c),
+q AS (SELECT p.*, coalesce(lag(z) OVER (PARTITION BY doc_id ORDER BY a), 0) AS before FROM p),
+g AS (SELECT q.doc_id, count(*) AS n_spans, sum(z - a) AS n_removed, max(z) AS last, string_agg(substr(x, (2 * before + 1)::BIGINT, (2 * (a - before))::BIGINT), '' ORDER BY a) AS head FROM q JOIN d USING (doc_id) GROUP BY q.doc_id)
+SELECT doc_id, n AS n_bytes, coalesce(n_removed, 0)::BIGINT AS n_removed, coalesce(n_spans, 0)::BIGINT AS n_spans,
+  sha256(unhex(coalesce(head || substr(x, (2 * last + 1)::BIGINT), x))) AS kept_sha256 FROM d LEFT JOIN g USING (doc_id)"""
+
+
+def _op5_sql() -> str:
+    from relmodel.llm.chat import CONTROLS, END, OPEN, SAYS
+
+    rest = "|".join(re.sub(r"([\[\]|<>/])", r"\\\1", c[1:]) for c in sorted(CONTROLS, key=len, reverse=True))
+    escaped = lambda c: f"length(regexp_replace({c}, '([<\\[])(\\\\*)({rest})', '\\1\\\\\\2\\3', 'g'))"
+    said = "</s>[INST] ok [/INST]"
+    return f"""
+WITH c AS (SELECT conv_id::BIGINT AS conv_id, turn, coalesce(role, '') AS role, coalesce(text, '') AS text FROM conversations
+  UNION ALL SELECT -1, 0, 'user', '{said}' UNION ALL SELECT -1, 1, 'assistant', '{said}')
+SELECT conv_id, count(*) AS n_turns, sha256(string_agg(role || chr(10) || text || chr(10), '' ORDER BY turn, role, text)) AS turns_sha256,
+  coalesce(sum(length(text)) FILTER (WHERE role = 'assistant'), 0)::BIGINT AS loss_chars,
+  sha256(coalesce(string_agg(text, '' ORDER BY turn, role, text) FILTER (WHERE role = 'assistant'), '')) AS loss_sha256,
+  sum({len(OPEN + SAYS + END)} + {escaped('role')} + {escaped('text')})::BIGINT AS formatted_chars FROM c GROUP BY conv_id"""
+
+
 def oracle_sql():
-    return {"op1_mix_sources": _op1_sql(), "op3_substring_dedup": _op3_sql(), "op6_quality_rules": _op6_sql()}
+    return {"op1_mix_sources": _op1_sql(), "op2_suffix_dedup": _op2_sql(), "op3_substring_dedup": _op3_sql(), "op5_chat_format": _op5_sql(), "op6_quality_rules": _op6_sql()}
