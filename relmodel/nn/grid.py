@@ -13,8 +13,8 @@ import pyarrow as pa
 from pyspark.sql import functions as F
 
 from relmodel.nn.bases import Constant, InContext, TwoStage, UnsupportedTask
-from relmodel.nn.relational import Config, importance, param_count, unroll
-from relmodel.nn.train import TrainConfig, fit, model_of, packed_rows, rows_of
+from relmodel.nn.relational import Config, importance, param_count, unroll, unroll_arrow
+from relmodel.nn.train import TrainConfig, fit, model_of, packed_parts, rows_of
 from relmodel.operators.metrics import mae, roc_area
 
 MOST = 100_000
@@ -34,7 +34,10 @@ def measure(task: str, y, s) -> float:
     return area(y, s) if task == "binary" else float(np.abs(np.asarray(y) - s).mean())
 
 
-def flat_features(rows: list[dict]) -> np.ndarray:
+def flat_features(rows) -> np.ndarray:
+    """x and c of packed rows (dicts, or an Arrow batch) side by side."""
+    if isinstance(rows, pa.RecordBatch):
+        return np.array([x + c for x, c in zip(rows.column("x").to_pylist(), rows.column("c").to_pylist())], float)
     return np.array([list(r["x"]) + list(r.get("c", ())) for r in rows], float)
 
 
@@ -59,12 +62,12 @@ def fit_one(rows: list[dict], spec: dict, schemas, steps) -> tuple[dict, tuple |
     return {"valid": float(min(hist)), "n_params": param_count(params), "seconds": time.perf_counter() - began}, (params, c, augmented)
 
 
-def predict_one(state: tuple, rows: list[dict]) -> tuple:
+def predict_one(state: tuple, rows) -> tuple:
     """(scores, importance of signals or None, their names)."""
     fitted, c, augmented = state
     if c is None:
         return np.asarray(fitted.predict(flat_features(rows)), float), None, []
-    s, alpha, names = model_of(c, augmented).predict(fitted, unroll(rows, c))
+    s, alpha, names = model_of(c, augmented).predict(fitted, unroll_arrow(rows, c) if isinstance(rows, pa.RecordBatch) else unroll(rows, c))
     return np.asarray(s, float), None if alpha is None else importance(alpha), names
 
 
@@ -124,7 +127,7 @@ def test_figures(test, states: dict, tasks: dict) -> dict[int, tuple[float, str]
     shared = test.sparkSession.sparkContext.broadcast(states)
 
     def run(batches):
-        for part in packed_rows(batches):
+        for part in packed_parts(batches):
             for i, state in shared.value.items():
                 if state is None:
                     continue
@@ -132,7 +135,7 @@ def test_figures(test, states: dict, tasks: dict) -> dict[int, tuple[float, str]
                 signals = [[] if imp is None else [(n, None if np.isnan(v) else float(v)) for n, v in zip(names, r)] for r in (imp if imp is not None else s)]
                 kind = pa.list_(pa.struct([("name", pa.string()), ("v", pa.float64())]))
                 signals = pa.array([[{"name": n, "v": v} for n, v in r] for r in signals], kind)
-                yield pa.RecordBatch.from_arrays([pa.array([i] * len(part), pa.int32()), pa.array([float(r["y"]) for r in part]), pa.array(s), signals], names=["i", "y", "s", "signals"])
+                yield pa.RecordBatch.from_arrays([pa.array([i] * part.num_rows, pa.int32()), part.column("y").cast(pa.float64()), pa.array(s), signals], names=["i", "y", "s", "signals"])
 
     scored = test.mapInArrow(run, "i int, y double, s double, signals array<struct<name:string,v:double>>").persist()
     tops: dict[int, list] = {}

@@ -94,6 +94,48 @@ def unroll(rows: list[dict], c: Config) -> Batch:
     return Batch(nums, cats, edges, len(rows), y, owner)
 
 
+def _lists(column, n: int) -> tuple[np.ndarray, object]:
+    """(lengths, flattened values) of an Arrow list column; null lists are empty."""
+    return column.value_lengths().fill_null(0).to_numpy(zero_copy_only=False).astype(int), column.flatten()
+
+
+def unroll_arrow(b, c: Config) -> Batch:
+    """``unroll`` of an Arrow batch of packed rows, read from its buffers: no Python object a row."""
+    n = b.num_rows
+
+    def matrix(values, rows: int, width: int, kind):
+        return values.to_numpy(zero_copy_only=False).astype(kind).reshape(rows, width)
+
+    def body(x, k, rows: int, table: str):
+        s = c.schemas[table]
+        return matrix(_lists(x, rows)[1], rows, len(s.numerical), float), matrix(_lists(k, rows)[1], rows, len(s.categorical), int)
+
+    parts = {t_: [] for t_ in c.schemas}
+    parts[c.target].append(body(b.column("x"), b.column("c"), n, c.target))
+    size = {t_: 0 for t_ in c.schemas} | {c.target: n}
+    first, edges, owner = {c.target: np.arange(n)}, [], {}
+    for s in c.steps if c.use_relations else ():
+        count, rows = _lists(b.column(s.relation), n)
+        total = int(count.sum())
+        at, x, k = (rows.field(f) if total else None for f in ("at", "x", "c"))
+        ids, who = size[s.table] + np.arange(total), np.repeat(np.arange(n), count)
+        if total:
+            parts[s.table].append(body(x, k, total, s.table))
+            up = first[s.source][who] + at.to_numpy(zero_copy_only=False).astype(int)
+        else:
+            up = np.zeros(0, int)
+        first[s.table] = size[s.table] + np.cumsum(count) - count
+        size[s.table] += total
+        child, parent, ci, pi = (s.table, s.source, ids, up) if s.down else (s.source, s.table, up, ids)
+        edges.append((s.relation, child, parent, ci, pi))
+        if s.source == c.target:
+            owner[s.relation] = (s.table, ids, who)
+    empty = {t_: (np.zeros((0, len(s.numerical))), np.zeros((0, len(s.categorical)), int)) for t_, s in c.schemas.items()}
+    made = {t_: tuple(map(np.concatenate, zip(*v))) if v else empty[t_] for t_, v in parts.items()}
+    y = b.column("y").to_numpy(zero_copy_only=False).astype(float) if "y" in b.schema.names else None
+    return Batch({k: v[0] for k, v in made.items()}, {k: v[1] for k, v in made.items()}, edges, n, y, owner)
+
+
 class RelationalModel:
     """Base model augmented by its relational neighbourhood."""
 

@@ -8,7 +8,7 @@ from dataclasses import dataclass
 import numpy as np
 
 from relmodel.nn import tape as t
-from relmodel.nn.relational import BaseModel, Config, RelationalModel, unroll
+from relmodel.nn.relational import BaseModel, Config, RelationalModel, unroll, unroll_arrow
 
 
 @dataclass(frozen=True)
@@ -234,19 +234,18 @@ def score(packed, c: Config, params: dict, augmented: bool = True):
 
     def run(batches):
         model = model_of(c, augmented)
-        for rows in packed_rows(batches):
-            s, alpha, names = model.predict(shared.value, unroll(rows, c))
+        for part in packed_parts(batches):
+            s, alpha, names = model.predict(shared.value, unroll_arrow(part, c))
             imp = importance(alpha) if alpha is not None else np.zeros((len(s), 0))
             sig = [[{"signal": n, "importance": float(v)} for n, v in zip(names, row) if not np.isnan(v)] for row in imp]
             kind = pa.list_(pa.struct([("signal", pa.string()), ("importance", pa.float64())]))
-            yield pa.RecordBatch.from_arrays([pa.array([r["seed_id"] for r in rows]), pa.array(np.asarray(s, float)), pa.array(sig, kind)], names=["seed_id", "score", "signals"])
+            yield pa.RecordBatch.from_arrays([part.column("seed_id"), pa.array(np.asarray(s, float)), pa.array(sig, kind)], names=["seed_id", "score", "signals"])
 
     return packed.mapInArrow(run, "seed_id string, score double, signals array<struct<signal:string,importance:double>>")
 
 
-def packed_rows(batches, most: int = 256):
-    """Lists of at most ``most`` packed rows of Arrow batches, so ego graphs of any number fit."""
+def packed_parts(batches, most: int = 512):
+    """Slices of at most ``most`` packed rows, so ego graphs of any number fit."""
     for b in batches:
         for i in range(0, b.num_rows, most):
-            rows = b.slice(i, most).to_pylist()
-            yield [{k: [(g["at"], g["x"], g["c"]) for g in v] if isinstance(v, list) and v and isinstance(v[0], dict) else v for k, v in r.items()} for r in rows]
+            yield b.slice(i, most)

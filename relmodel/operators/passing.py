@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from relmodel.functions.vec import linear_sql, norm_sql
+from relmodel.session import saved
 
 AGGS = {"sum": F.sum, "mean": F.avg, "max": F.max, "min": F.min}
 
@@ -66,9 +67,10 @@ def merge_relations(h: DataFrame, parts: list[DataFrame]) -> DataFrame:
     return raw.select("node_id", *(F.expr(x).alias(f"h{i}") for i, x in enumerate(norm_sql([f"a{i}" for i in range(len(cols))]))))
 
 
-def message_layers(states: dict[str, DataFrame], relations: list[Relation], layers: int, agg: str = "sum", target: str | None = None, cut=None) -> dict[str, DataFrame]:
+def message_layers(states: dict[str, DataFrame], relations: list[Relation], layers: int, agg: str = "sum", target: str | None = None, cut=saved) -> dict[str, DataFrame]:
     """``layers`` rounds over all node types. With a target, types too far away to matter in
-    the rounds left are skipped. ``cut`` (a function of a DataFrame) may write each round's states."""
+    the rounds left are skipped. ``cut`` (a function of a DataFrame) writes the states of each round but
+    the last, which every relation of the next round reads; None plans all rounds as one."""
     far = {n: 0 if target in (None, n) else 99 for n in states}
     for _ in states:
         for r in relations:
@@ -86,7 +88,7 @@ def message_layers(states: dict[str, DataFrame], relations: list[Relation], laye
                 if r.child == kind:
                     parts.append(relation_update(h, aggregate_neighbours(states[r.parent], r.edges, agg, up=False), r.index))
             new[kind] = merge_relations(h, parts) if parts else h
-        states = states | {k: cut(v) if cut else v for k, v in new.items()}
+        states = states | {k: cut(v) if cut and layer < layers else v for k, v in new.items()}
     return states
 
 

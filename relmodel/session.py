@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 
 ROOT = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
 
@@ -26,3 +27,10 @@ def shared_folder(spark) -> str:
     if master != "local" and not master.startswith("local["):
         raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return os.path.join(tempfile.gettempdir(), "relmodel-work")
+
+
+def saved(df):
+    """Cuts lineage: the rows written to the shared folder and read again."""
+    path = f"{shared_folder(df.sparkSession)}/relmodel-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)

@@ -60,3 +60,37 @@ def test_bucketed_tables_join_without_shuffle(spark, sf):
     df = QUERIES["bucketed_join"](spark, sf)
     df.count()
     assert "Exchange hashpartitioning" not in df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_arrow_batches_unroll_as_rows_do(spark, sf):
+    import numpy as np
+
+    from relmodel import learned
+    from relmodel.nn.relational import Config, unroll, unroll_arrow
+    from relmodel.nn.train import rows_of
+
+    steps = (*learned.STEPS, learned.Step("event_customer", "customer", "events"))
+    (packed,), plan = learned.packed_parts(spark, sf, "pl1", ["fit"], seeds=60, steps=steps)
+    packed = packed.orderBy("split", "seed_id")
+    c = Config("customer", plan.schemas(), plan.steps)
+    batch = packed.toArrow().combine_chunks().to_batches()[0].slice(3)  # a slice, so offsets count
+    a, b = unroll_arrow(batch, c), unroll(rows_of(packed.collect())[3:], c)
+    for n in c.schemas:
+        assert np.allclose(a.num[n], b.num[n], equal_nan=True) and np.array_equal(a.cat[n], b.cat[n])
+    assert np.array_equal(a.y, b.y) and a.seeds == b.seeds
+    for x, y in zip(a.edges, b.edges):
+        assert x[:3] == y[:3] and np.array_equal(x[3], y[3]) and np.array_equal(x[4], y[4])
+    for n in b.owner:
+        assert a.owner[n][0] == b.owner[n][0] and all(np.array_equal(p, q) for p, q in zip(a.owner[n][1:], b.owner[n][1:]))
+
+
+def test_layers_cut_or_not_give_the_same_states(spark, sf):
+    from relmodel import queries as Q
+    from relmodel.operators import passing
+
+    s = Q._slice(spark, sf)
+    got = []
+    for cut in (None, passing.saved):
+        df = passing.message_layers(Q._states(s), Q._relations(s), 2, target="customer", cut=cut)["customer"]
+        got.append(sorted((r[0], *(round(x, 9) for x in r[1:])) for r in df.collect()))
+    assert got[0] == got[1] and got[0]
