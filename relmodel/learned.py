@@ -443,7 +443,7 @@ def dispatch_end_to_end(spark, sf):
 @query
 def intent_profiles(spark, sf):
     """Questions to checked profiles and SQL fragments that run."""
-    from relmodel.plans.intent import RuleAgent, data_profile, parse_task, to_sql
+    from relmodel.plans.intent import RuleAgent, data_profile, join_clauses, parse_task, to_sql
 
     t = load(spark, sf, ["region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events"])
     for n, df in t.items():
@@ -454,6 +454,9 @@ def intent_profiles(spark, sf):
         d, more = data_profile(task, t)
         for n, sql in to_sql(d).items():
             rows.append((q, task.task_type, n, sql, len(spark.sql(sql).columns), len(problems) + len(more)))
+        for n, clause in join_clauses(d).items():
+            sql = f"SELECT * {clause}"
+            rows.append((q, task.task_type, n, sql, len(spark.sql(sql).columns), len(problems) + len(more)))
     return spark.createDataFrame(rows, "question string, task_type string, table_name string, sql string, n_columns int, n_problems int")
 
 
@@ -506,11 +509,18 @@ def model_registry(spark, sf):
 
 
 @query
-def architecture_space(spark, sf):
-    from relmodel.sources.registry import GridSource
+def preprocess_cost(spark, sf):
+    """Columns of a one-hot coding and the seconds before a library model can fit."""
+    from pyspark.ml import Pipeline
+
+    from relmodel.nn.spark_bases import prepare
+    from relmodel.operators.metrics import latency
 
-    spark.dataSource.register(GridSource)
-    return spark.read.format("model_grid").load()
+    train, _ = _tabular(spark, sf)
+    own = train.withColumn("c_acctbal", F.col("c_acctbal").cast("double"))
+    out = Pipeline(stages=prepare(["c_acctbal"], ["c_nationkey", "c_mktsegment"])).fit(own).transform(own)
+    width = int(out.schema["features"].metadata["ml_attr"]["num_attrs"]) if "ml_attr" in out.schema["features"].metadata else len(out.first()["features"])
+    return spark.createDataFrame([(width, latency(out.select("features"), 2))], "width int, seconds double")
 
 
 @query

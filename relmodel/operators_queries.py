@@ -402,7 +402,7 @@ def stream_stream_join(spark, sf):
     return replay(spark, _folder(spark, sf), lambda s: stream.purchases_after_clicks(s.where("event_type = 'click'"), s.where("event_type = 'purchase'"), "6 HOURS"))
 
 
-@query("source_round_trip", " UNION ALL ".join(f"SELECT '{f}' AS format, count(*) AS n FROM part" for f in ("csv", "json", "orc", "parquet")))
+@query("source_round_trip", " UNION ALL ".join(f"SELECT '{f}' AS format, count(*) AS n FROM part" for f in ("csv", "json", "orc", "parquet", "text")))
 def source_round_trip(spark, sf):
     """O2: every format gives the rows back."""
     path, p, out = f"{shared_folder(spark)}/relmodel-formats-{uuid.uuid4().hex}", load(spark, sf, ["part"])["part"], None
@@ -411,7 +411,49 @@ def source_round_trip(spark, sf):
         same = spark.read.schema(p.schema).format(f).load(f"{path}/{f}").intersectAll(p)
         row = same.agg(F.count("*").alias("n")).select(F.lit(f).alias("format"), "n")
         out = row if out is None else out.unionAll(row)
-    return out
+    lines = p.select(F.to_json(F.struct(*p.columns)).alias("value"))
+    lines.write.text(f"{path}/text")
+    same = spark.read.text(f"{path}/text").select(F.from_json("value", p.schema).alias("r")).select("r.*").intersectAll(p)
+    return out.unionAll(same.agg(F.count("*").alias("n")).select(F.lit("text").alias("format"), "n"))
+
+
+@query("asof_cogroup", "SELECT event_id, (SELECT o_orderkey FROM orders o WHERE o.o_custkey = e.user_id AND o.o_orderdate <= e.ts ORDER BY o_orderdate DESC, o_orderkey LIMIT 1) AS o_orderkey FROM events e")
+def asof_cogroup(spark, sf):
+    """The last order before each event, by cogrouped frames of one customer."""
+    import pandas as pd
+
+    t = load(spark, sf, ["events", "orders"])
+    e = t["events"].select("event_id", "user_id", "ts")
+    o = t["orders"].select("o_orderkey", F.col("o_custkey").alias("user_id"), F.col("o_orderdate").alias("ts"))
+
+    def last(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        right = right.sort_values(["ts", "o_orderkey"], ascending=[True, False])
+        out = pd.merge_asof(left.sort_values("ts"), right[["ts", "o_orderkey"]], on="ts")
+        return out[["event_id", "o_orderkey"]].astype({"o_orderkey": "Int64"})
+
+    return e.groupBy("user_id").cogroup(o.groupBy("user_id")).applyInPandas(last, "event_id long, o_orderkey long").where("event_id IS NOT NULL")
+
+
+@query("architecture_space", "WITH w AS (SELECT unnest(['32', '64', '128', '256', '512']) AS x) SELECT 'w' || x AS model_id, x AS widths, 1 AS depth FROM w UNION ALL SELECT 'w' || a.x || '-' || b.x, a.x || '-' || b.x, 2 FROM w a, w b UNION ALL SELECT 'w' || a.x || '-' || b.x || '-' || c.x, a.x || '-' || b.x || '-' || c.x, 3 FROM w a, w b, w c")
+def architecture_space(spark, sf):
+    """Every choice of widths for one to three layers, from the data source."""
+    from relmodel.sources.registry import GridSource
+
+    spark.dataSource.register(GridSource)
+    return spark.read.format("model_grid").load()
+
+
+@query("feature_transformers", None)
+def feature_transformers(spark, sf):
+    """Quantile bins of a number and hashed words of a text, as counts per bin and text length."""
+    from pyspark.ml.feature import HashingTF, QuantileDiscretizer
+    from pyspark.ml.functions import vector_to_array
+
+    p = load(spark, sf, ["part"])["part"].select("p_partkey", "p_retailprice", F.split("p_name", " ").alias("words"))
+    bins = QuantileDiscretizer(inputCol="p_retailprice", outputCol="bin", numBuckets=8).fit(p)
+    own = HashingTF(inputCol="words", outputCol="tf", numFeatures=64).transform(bins.transform(p))
+    total = F.aggregate(vector_to_array("tf"), F.lit(0.0), lambda s, v: s + v)
+    return own.groupBy(F.col("bin").cast("int").alias("bin")).agg(F.count("*").alias("n"), F.sum(total - F.size("words")).alias("lost"))
 
 
 @query("table_round_trip", "SELECT s_nationkey, count(*) AS n, round(sum(s_acctbal), 2) AS balance FROM supplier GROUP BY s_nationkey")

@@ -41,7 +41,26 @@ class RuleAgent:
         self.catalog = catalog
 
     def complete(self, messages):
-        return json.dumps(self.read(messages[-1]["content"]))
+        """A data round carries a JSON object with ``round``; anything else is a question."""
+        try:
+            asked = json.loads(messages[-1]["content"])
+        except ValueError:
+            asked = None
+        if not isinstance(asked, dict) or "round" not in asked:
+            return json.dumps(self.read(messages[-1]["content"]))
+        return json.dumps(self.tables(asked) if asked["round"] == "tables" else self.columns(asked))
+
+    def tables(self, asked: dict) -> dict:
+        return {"tables": [n for n, hops in asked["candidates"].items() if hops <= asked["hops"] or n == asked["target"]]}
+
+    def columns(self, asked: dict) -> dict:
+        """Leaves out constants, names of rows, the second of two columns that say the same, and targets."""
+        keep = []
+        for c, x in asked["columns"].items():
+            like_id = x["kind"] == "categorical" and asked["rows"] > 50 and x["distinct"] > 0.9 * asked["rows"]
+            if x["distinct"] > 1 and not like_id and not x["target"] and not set(x["alike"]) & set(keep):
+                keep.append(c)
+        return {"columns": keep}
 
     def read(self, question: str) -> dict:
         q = question.lower()
@@ -111,41 +130,77 @@ def parse_task(question: str, agent: Agent, catalog: Catalog = CATALOG, max_roun
     return None, problems
 
 
-def select_tables(task: TaskProfile, catalog: Catalog = CATALOG, hops: int = 2) -> tuple[str, ...]:
-    """Tables within ``hops`` links of the entity, and those on the way to the target."""
-    out = [n for n in catalog.tables if n != task.entity_table and (p := fk_path(catalog, task.entity_table, n)) is not None and len(p) <= hops]
-    if task.target.table not in (task.entity_table, *out):
-        out.append(task.target.table)
-    return tuple(out)
-
-
-def select_columns(task: TaskProfile, names: tuple[str, ...], tables, catalog: Catalog = CATALOG, most_alike: float = 0.99) -> dict[str, list[str]]:
-    """One statistics pass a table drops constants, id-like columns, one of two columns that
-    are nearly the same, and the target itself."""
-    out = {}
+def _answered(session: AgentSession, asked: dict, field: str, check, max_rounds: int) -> tuple[list[str], list[Violation]]:
+    """One data round: the answer's names, asked again with the violations at most ``max_rounds`` times."""
+    problems: list[Violation] = []
+    for _ in range(max_rounds):
+        try:
+            names = json.loads(session.ask({"role": "user", "content": json.dumps(asked)}))[field]
+            problems = check(names) if isinstance(names, list) and all(isinstance(n, str) for n in names) else [Violation("syntax", field)]
+        except (ValueError, TypeError, KeyError) as e:
+            names, problems = [], [Violation("syntax", f"{type(e).__name__}: {e}")]
+        if not problems:
+            return names, []
+        asked = asked | {"fix": [f"{v.rule}: {v.detail}" for v in problems]}
+    return [], problems
+
+
+def select_tables(task: TaskProfile, catalog: Catalog = CATALOG, hops: int = 2, session: AgentSession | None = None, max_rounds: int = 3) -> tuple[tuple[str, ...], list[Violation]]:
+    """The agent chooses among the tables that links reach, each shown with its distance."""
+    session = session or AgentSession(RuleAgent(catalog))
+    ways = {n: fk_path(catalog, task.entity_table, n) for n in catalog.tables if n != task.entity_table}
+    near = {n: len(p) for n, p in ways.items() if p is not None}
+    asked = {"round": "tables", "question": task.question, "entity": task.entity_table, "target": task.target.table, "hops": hops, "candidates": near}
+
+    def check(names):
+        out = [Violation("unreachable" if n in catalog.tables else "table", n) for n in names if n not in near]
+        if task.target.table not in (task.entity_table, *names):
+            out.append(Violation("target_table", task.target.table))
+        return out
+
+    names, problems = _answered(session, asked, "tables", check, max_rounds)
+    return tuple(dict.fromkeys(names)), problems
+
+
+def select_columns(task: TaskProfile, names: tuple[str, ...], tables, catalog: Catalog = CATALOG, most_alike: float = 0.99, session: AgentSession | None = None, max_rounds: int = 3) -> tuple[dict[str, list[str]], list[Violation]]:
+    """One statistics pass a table; the agent sees each column's kind, distinct values and the
+    columns it nearly equals, and names those to keep."""
+    session, out, problems = session or AgentSession(RuleAgent(catalog)), {}, []
     for n in (task.entity_table, *names):
         spec, df = catalog.tables[n], tables[n]
         cols = [c for c in spec.columns if spec.columns[c] in ("numerical", "categorical", "timestamp") and c in df.columns]
-        cols = [c for c in cols if not (task.target.kind == "column" and n == task.target.table and c == task.target.expr)]
         num = [c for c in cols if spec.columns[c] == "numerical"]
         pairs = [(a, b) for i, a in enumerate(num) for b in num[i + 1 :]]
         row = df.agg(F.count("*"), *(F.approx_count_distinct(c) for c in cols), *(F.corr(a, b) for a, b in pairs)).first()
-        n_rows, distinct = row[0], dict(zip(cols, row[1 : 1 + len(cols)]))
-        drop = {c for c in cols if distinct[c] <= 1 or (spec.columns[c] == "categorical" and n_rows > 50 and distinct[c] > 0.9 * n_rows)}
-        for (_, b), r in zip(pairs, row[1 + len(cols) :]):
-            if r is not None and abs(r) > most_alike:
-                drop.add(b)
-        out[n] = [c for c in cols if c not in drop]
-    return out
+        alike = [p for p, r in zip(pairs, row[1 + len(cols) :]) if r is not None and abs(r) > most_alike]
+        hidden = {task.target.expr} if task.target.kind == "column" and n == task.target.table else set()
+        seen = {c: {"kind": spec.columns[c], "distinct": d, "alike": [a for a, b in alike if b == c], "target": c in hidden} for c, d in zip(cols, row[1 : 1 + len(cols)])}
+        asked = {"round": "columns", "question": task.question, "table": n, "rows": row[0], "columns": seen}
 
+        def check(names, cols=cols, hidden=hidden, n=n):
+            return [Violation("leak" if c in hidden else "column", f"{n}.{c}") for c in names if c not in cols or c in hidden]
 
-def data_profile(task: TaskProfile, tables, catalog: Catalog = CATALOG, filters: dict[str, str] | None = None) -> tuple[DataProfile, list[Violation]]:
-    names = select_tables(task, catalog)
-    columns = {n: c for n, c in select_columns(task, names, tables, catalog).items() if c}
+        out[n], bad = _answered(session, asked, "columns", check, max_rounds)
+        problems += bad
+    return out, problems
+
+
+def data_profile(task: TaskProfile, tables, catalog: Catalog = CATALOG, filters: dict[str, str] | None = None, agent: Agent | None = None) -> tuple[DataProfile, list[Violation]]:
+    """Tables, then columns table by table, in one conversation with the agent."""
+    session = AgentSession(agent or RuleAgent(catalog))
+    names, problems = select_tables(task, catalog, session=session)
+    columns, more = select_columns(task, names, tables, catalog, session=session)
+    columns = {n: c for n, c in columns.items() if c}
     names = tuple(n for n in names if n in columns)
     keep = {task.entity_table, *names}
     d = DataProfile(task.entity_table, task.target.expr, names, columns, tuple(k.name for k in catalog.keys if k.child in keep and k.parent in keep), filters or {})
-    return d, check_data(d, task, catalog)
+    return d, problems + more + check_data(d, task, catalog)
+
+
+def join_clauses(d: DataProfile, catalog: Catalog = CATALOG) -> dict[str, str]:
+    """FROM and JOIN of each link of the profile, child to parent."""
+    keys = {k.name: k for k in catalog.keys}
+    return {n: f"FROM {k.child} JOIN {k.parent} ON {k.child}.{k.child_col} = {k.parent}.{k.parent_col}" for n in d.joins for k in [keys[n]]}
 
 
 def to_sql(d: DataProfile, catalog: Catalog = CATALOG) -> dict[str, str]:

@@ -5,6 +5,7 @@ from __future__ import annotations
 import json
 import pickle
 from datetime import datetime, timezone
+from itertools import product
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -42,14 +43,14 @@ def load_model(spark: SparkSession, path: str, model_id: str, version: int | Non
 
 class GridSource(DataSource):
     """``spark.read.format("model_grid").option("widths", "32,64").option("depths", "1,2").load()``:
-    the candidates of an architecture space as rows (T12)."""
+    the candidates of an architecture space as rows, every layer with a width of its own (T12)."""
 
     @classmethod
     def name(cls):
         return "model_grid"
 
     def schema(self):
-        return "model_id string, width int, depth int"
+        return "model_id string, widths string, depth int"
 
     def reader(self, schema):
         return GridReader(self.options)
@@ -57,15 +58,17 @@ class GridSource(DataSource):
 
 class GridReader(DataSourceReader):
     def __init__(self, options):
-        self.widths = [int(x) for x in options.get("widths", "32,64,128,256,512").split(",")]
+        self.widths = options.get("widths", "32,64,128,256,512").split(",")
         self.depths = [int(x) for x in options.get("depths", "1,2,3").split(",")]
 
     def partitions(self):
-        return [InputPartition(w) for w in self.widths]
+        return [InputPartition((w, d)) for d in self.depths for w in self.widths]
 
     def read(self, partition):
-        for d in self.depths:
-            yield (f"w{partition.value}d{d}", partition.value, d)
+        first, depth = partition.value
+        for rest in product(self.widths, repeat=depth - 1):
+            widths = "-".join((first, *rest))
+            yield (f"w{widths}", widths, depth)
 
 
 def bucketed(df: DataFrame, table: str, key: str, buckets: int, path: str | None = None) -> None:

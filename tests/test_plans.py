@@ -135,9 +135,56 @@ def test_fragments_run(spark, sf):
     assert not problems and "orders" in d.related_tables
     for sql in intent.to_sql(d).values():
         spark.sql(sql).schema
+    joins = intent.join_clauses(d)
+    assert joins["order_customer"] == "FROM orders JOIN customer ON orders.o_custkey = customer.c_custkey"
+    assert spark.sql(f"SELECT count(*) {joins['order_customer']}").first()[0] == t["orders"].count()
     assert json.loads(CATALOG.json())["tables"]["orders"]["time"] == "o_orderdate"
 
 
+def test_data_rounds_feed_violations_back(spark, sf):
+    """An agent that names what is not there is told so and asked again in the same conversation."""
+    t = load(spark, sf, ["region", "nation", "customer", "supplier", "part", "orders", "lineitem", "events"])
+    task, _ = intent.parse_task("Which customers will churn in the next 180 days?", intent.RuleAgent())
+
+    class Careless(intent.RuleAgent):
+        def __init__(self, mends):
+            super().__init__()
+            self.mends, self.seen = mends, []
+
+        def complete(self, messages):
+            asked = json.loads(messages[-1]["content"])
+            self.seen.append((asked["round"], len(messages), asked.get("fix")))
+            if "fix" in asked and self.mends:
+                return super().complete(messages)
+            return json.dumps({"tables": ["orders", "moon"]}) if asked["round"] == "tables" else "{not json"
+
+    agent = Careless(True)
+    d, problems = intent.data_profile(task, t, agent=agent)
+    assert not problems and d == intent.data_profile(task, t)[0]
+    assert agent.seen[1][0] == "tables" and agent.seen[1][2] == ["table: moon"] and agent.seen[3][2][0].startswith("syntax")
+    assert [n for _, n, _ in agent.seen] == list(range(1, 2 * len(agent.seen), 2))  # one conversation
+    d, problems = intent.data_profile(task, t, agent=Careless(False))
+    assert {v.rule for v in problems} >= {"table", "syntax"} and d.related_tables == ()
+
+
+def test_late_rows_are_dropped_by_the_watermark(spark, tmp_path):
+    """ST2: the second file holds a row within the watermark of a day, the third one beyond it (rows are
+    judged by the watermark of the batch before)."""
+    import time
+
+    from relmodel.streaming import stream
+
+    rows = [("2024-01-05 10:00:00", 1), ("2024-01-05 11:00:00", 1)], [("2024-01-04 12:00:00", 1), ("2024-01-08 00:00:00", 1)], [("2024-01-02 12:00:00", 1), ("2024-01-12 00:00:00", 2)]
+    for i, part in enumerate(rows):
+        df = spark.createDataFrame([(i * 10 + j, ts, u, "view", 1.0, "{}") for j, (ts, u) in enumerate(part)], "event_id long, ts string, user_id long, event_type string, value double, props string")
+        df.withColumn("ts", F.col("ts").cast("timestamp_ntz")).coalesce(1).write.mode("append").parquet(f"{tmp_path}/events")
+        time.sleep(1.1)
+    got = stream.activity(stream.event_stream(spark, f"{tmp_path}/events", 1), "1 day").select(F.date_format("w.start", "dd").alias("day"), "user_id", "n")
+    got.writeStream.format("memory").queryName("late_rows").outputMode("append").option("checkpointLocation", f"{tmp_path}/c").trigger(availableNow=True).start().awaitTermination()
+    out = {(r.day, r.user_id): r.n for r in spark.table("late_rows").collect()}
+    assert out[("05", 1)] == 2 and out[("04", 1)] == 1 and ("02", 1) not in out
+
+
 def test_report_quotes_only_evidence(spark):
     preds = spark.createDataFrame([(i, i / 10, "a" if i % 2 else "b") for i in range(10)], "entity_id int, score double, seg string")
     e = report.report_evidence(preds, ["seg"], question="Who?", task="t", cutoff=T, strategy={"action": "augment", "reason": "augment"}, metric={"name": "area"}, signals=[{"name": "orders(sum)", "mean_importance": 0.5}])
