@@ -357,24 +357,63 @@ def base_text_scores(spark, sf):
     return own.mapInArrow(run, TEXT_SCHEMA)
 
 
+SPACE = {"d": [2, 4, 8, 16], "base": ["mlp", "residual", "tokens"]}
+
+
+def _search(find):
+    def run(spark, sf):
+        packed, plan = packed_task(spark, sf, "pl1", seeds=200)
+        base = {"target": "customer", "layers": 1, "train": {"epochs": 4, "batch": 64}, "augmented": False}
+        out = find(packed.cache(), base, SPACE, plan.schemas(), plan.steps)
+        return spark.createDataFrame([(i, c["d"], c["base"], v) for i, (c, v) in enumerate(out)], "place int, width int, base string, valid double")
+
+    return run
+
+
 @query
 def search_tpe(spark, sf):
+    """B13 over widths and kinds of base."""
     from relmodel.nn.grid import tpe_search
 
-    packed, plan = packed_task(spark, sf, "pl1", seeds=200)
-    base = {"target": "customer", "layers": 1, "train": {"epochs": 4, "batch": 64}, "augmented": False}
-    out = tpe_search(packed, base, {"d": [2, 4, 8, 16]}, plan.schemas(), plan.steps, rounds=2, width=3)
-    return spark.createDataFrame([(c["d"], v) for c, v in out], "width int, valid double")
+    return _search(lambda *a: tpe_search(*a, rounds=2, width=4))(spark, sf)
 
 
 @query
 def search_two_phase(spark, sf):
+    """B14 over the same space."""
     from relmodel.nn.grid import two_phase_search
 
-    packed, plan = packed_task(spark, sf, "pl1", seeds=200)
-    base = {"target": "customer", "layers": 1, "augmented": False}
-    out = two_phase_search(packed, base, {"d": [2, 4, 8, 16]}, plan.schemas(), plan.steps, sample=4, keep=2)
-    return spark.createDataFrame([(c["d"], v) for c, v in out], "width int, valid double")
+    return _search(lambda *a: two_phase_search(*a, sample=8, keep=2))(spark, sf)
+
+
+@query
+def shared_encoder(spark, sf):
+    """One encoder, pre-trained on masked attributes, starts two tasks (frozen or not) beside a
+    start from nothing; one training a task of Spark."""
+    from relmodel.nn.train import TrainConfig, fit, model_of, pretrain, rows_of
+
+    rows, c = {}, None
+    for name in ("pl1", "pl5"):
+        packed, plan = packed_task(spark, sf, name, seeds=240)
+        rows[name] = rows_of(packed.collect())  # bounded
+        c = c or Config(plan.target, plan.schemas(), plan.steps, d=4, layers=1)
+    shared = spark.sparkContext.broadcast(rows)
+    encoder = ("customer.", "orders.", "lineitem.", "enc", "tuple")
+
+    def run(frames):
+        for pdf in frames:
+            for name, start in zip(pdf["task"], pdf["start"]):
+                own, model = shared.value[name], model_of(c)
+                part = {k: [r for r in own if r["split"] == k] for k in learned_splits}
+                began = None
+                if start != "nothing":
+                    began, _ = pretrain(model, [r for r in shared.value["pl1"] if r["split"] == "train"], TrainConfig(epochs=4, batch=64))
+                _, hist = fit(model, part["train"], part["valid"], TrainConfig(epochs=8, batch=64, freeze=encoder if start == "frozen" else ()), began)
+                yield pd.DataFrame([{"task": name, "start": start, "first": hist[0], "best": min(hist)}])
+
+    learned_splits = SPLITS
+    todo = [(n, s) for n in rows for s in ("nothing", "frozen", "tuned")]
+    return spark.createDataFrame(todo, "task string, start string").repartition(len(todo), "task", "start").mapInPandas(run, "task string, start string, first double, best double")
 
 
 @query

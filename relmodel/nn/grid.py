@@ -188,18 +188,17 @@ def tpe_search(packed, base_spec: dict, space: dict[str, list], schemas, steps,
 
 
 def two_phase_search(packed, base_spec: dict, space: dict[str, list], schemas, steps, sample: int = 12, keep: int = 4, seed: int = 0) -> list[tuple[dict, float]]:
-    """Training-free scores filter a sample of points, then successive halving with doubled epochs."""
-    from relmodel.plans.dispatch import proxies
+    """Training-free scores, one task a point, filter a sample of points; then successive halving
+    with doubled epochs."""
+    from relmodel.plans.dispatch import score_pool
 
     r = np.random.default_rng(seed)
-    points = [{k: v[r.integers(len(v))] for k, v in space.items()} for _ in range(sample)]
-    rows = rows_of(packed.where("split = 'train'").limit(256).collect())
-    score = []
-    for p in points:
-        spec = base_spec | p
-        c = Config(schemas=schemas, steps=steps, **{k: v for k, v in spec.items() if k not in ("augmented", "train", "hops")})
-        score.append(proxies(model_of(c, spec.get("augmented", True)), unroll(rows, c))["grad_norm"])
-    left = [points[i] for i in np.argsort(score)[::-1][:keep]]
+    drawn = [{k: v[r.integers(len(v))] for k, v in space.items()} for _ in range(sample)]
+    points = [json.loads(x) for x in dict.fromkeys(json.dumps(p) for p in drawn)]
+    rows = rows_of(packed.where("split = 'train'").limit(256).collect())  # the probe batch, bounded
+    pool = [(str(i), Config(schemas=schemas, steps=steps, **{k: v for k, v in (base_spec | p).items() if k not in ("augmented", "train", "hops")})) for i, p in enumerate(points)]
+    raw = score_pool(packed.sparkSession, pool, rows, base_spec.get("augmented", True)).where("proxy = 'grad_norm'").collect()  # one row a point
+    left = [points[int(x.model_id)] for x in sorted(raw, key=lambda x: (-x.raw, int(x.model_id)))[:keep]]
     epochs, trials = 4, []
     while left:
         out = run_grid(packed, [base_spec | p | {"train": {"epochs": epochs}} for p in left], schemas, steps).collect()

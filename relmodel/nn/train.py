@@ -202,18 +202,23 @@ def _partial_epoch(c, augmented, now, cfg, epoch):
 
 
 def _tree(packed, partial, width: int = 8):
-    """Partials per partition, added in groups of ``width`` partitions before they reach the driver."""
+    """Partials per partition, added ``width`` at a time, level by level, before the last ``width`` reach
+    the driver: no task and no driver holds more than that many."""
     import pandas as pd
     from pyspark.sql import functions as F
 
     def first(frames):
         yield pd.DataFrame({"x": [pickle.dumps(partial(frames))]})
 
-    def add(pdf: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame({"x": [pickle.dumps(_plus([pickle.loads(x) for x in pdf["x"]]))]})
+    def add(key: tuple, pdf: pd.DataFrame) -> pd.DataFrame:
+        return pd.DataFrame({"g": [int(key[0])], "x": [pickle.dumps(_plus(map(pickle.loads, pdf["x"])))]})
 
-    parts = packed.mapInPandas(first, "x binary").withColumn("g", F.pmod(F.spark_partition_id(), F.lit(width)))
-    return _plus([pickle.loads(r.x) for r in parts.groupBy("g").applyInPandas(add, "x binary").collect()])
+    left = packed.rdd.getNumPartitions()
+    parts = packed.mapInPandas(first, "x binary").select(F.spark_partition_id().alias("g"), "x")
+    while left > width:
+        left = -(-left // width)
+        parts = parts.groupBy(F.pmod("g", F.lit(left)).alias("g")).applyInPandas(add, "g int, x binary")
+    return _plus(pickle.loads(r.x) for r in parts.collect())
 
 
 def _plus(parts):

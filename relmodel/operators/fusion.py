@@ -7,6 +7,8 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from relmodel.functions.quantile import quantiles
+
 SIGNALS = ("max", "min", "sum", "mean")
 
 
@@ -46,10 +48,9 @@ def recalibrate(alpha, n):
 
 def rank_signals(importance: DataFrame, top: int = 4) -> DataFrame:
     """(signal, n, mean, q25, q75, place) of the ``top`` signals by mean importance."""
-    own = importance.groupBy("signal").agg(
-        F.count("*").alias("n"), F.round(F.avg("importance"), 6).alias("mean_importance"),
-        F.round(F.expr("percentile(importance, 0.25)"), 6).alias("q25"), F.round(F.expr("percentile(importance, 0.75)"), 6).alias("q75"),
-    )
+    own = importance.groupBy("signal").agg(F.count("*").alias("n"), F.round(F.avg("importance"), 6).alias("mean_importance"))
+    spread = quantiles(importance, "importance", {"q25": 0.25, "q75": 0.75}, ("signal",)).withColumnRenamed("signal", "name")
+    own = own.join(spread, own.signal.eqNullSafe(spread.name), "left").select("signal", "n", "mean_importance", F.round("q25", 6).alias("q25"), F.round("q75", 6).alias("q75"))
     from pyspark.sql import Window
 
     return own.withColumn("place", F.dense_rank().over(Window.orderBy(F.desc("mean_importance")))).where(F.col("place") <= top)  # one row a signal

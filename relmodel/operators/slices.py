@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from relmodel.catalog import CATALOG, Catalog
+from relmodel.functions.quantile import quantiles
 
 
 def at(t: str) -> Column:
@@ -105,7 +106,9 @@ def leak_guard(s: DataSlice, t: str) -> DataFrame:
 
 def label_stats(labels: DataFrame) -> DataFrame:
     """Base rate and centre of the labels per split."""
-    return labels.groupBy("split").agg(F.count("*").alias("n"), F.round(F.avg("y"), 6).alias("mean_y"), F.round(F.expr("percentile(y, 0.5)"), 6).alias("median_y"))
+    own = labels.groupBy("split").agg(F.count("*").alias("n"), F.round(F.avg("y"), 6).alias("mean_y"))
+    middle = quantiles(labels, "y", {"median_y": 0.5}, ("split",)).withColumnRenamed("split", "part")
+    return own.join(middle, own.split.eqNullSafe(middle.part), "left").select("split", "n", "mean_y", F.round("median_y", 6).alias("median_y"))
 
 
 def column_stats(df: DataFrame, columns: list[str]) -> DataFrame:

@@ -9,11 +9,14 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from relmodel.functions.quantile import quantiles
+
 
 def score_distribution(preds: DataFrame) -> DataFrame:
     """Count and quantiles of the scores."""
-    q = [0.05, 0.25, 0.5, 0.75, 0.95]
-    return preds.agg(F.count("*").alias("n"), *(F.round(F.expr(f"percentile(score, {x})"), 6).alias(f"q{int(100 * x):02d}") for x in q))
+    q = {f"q{int(100 * x):02d}": x for x in (0.05, 0.25, 0.5, 0.75, 0.95)}
+    spread = quantiles(preds, "score", q).select(*(F.round(n, 6).alias(n) for n in q))
+    return preds.agg(F.count("*").alias("n")).join(spread, F.lit(True), "left")  # one row each
 
 
 def segments(preds: DataFrame, dims: list[str]) -> DataFrame:

@@ -94,3 +94,32 @@ def test_layers_cut_or_not_give_the_same_states(spark, sf):
         df = passing.message_layers(Q._states(s), Q._relations(s), 2, target="customer", cut=cut)["customer"]
         got.append(sorted((r[0], *(round(x, 9) for x in r[1:])) for r in df.collect()))
     assert got[0] == got[1] and got[0]
+
+
+def test_quantiles_are_exact(spark):
+    import numpy as np
+
+    from relmodel.functions.quantile import quantiles
+
+    r = random.Random(4)
+    rows = [(r.choice(["a", "b", None]), r.choice([None, r.randrange(50) / 7, r.gauss(0, 1)])) for _ in range(900)] + [("one", 2.5), ("none", None)]
+    df = spark.createDataFrame(rows, "g string, x double")
+    q = {"lo": 0.05, "mid": 0.5, "hi": 0.9}
+    got = {x.g: (x.lo, x.mid, x.hi) for x in quantiles(df, "x", q, ("g",), parts=5).collect()}
+    for g in ("a", "b", None, "one"):
+        assert np.allclose(got[g], np.quantile([x for k, x in rows if k == g and x is not None], list(q.values())))
+    assert "none" not in got
+    assert np.allclose(tuple(quantiles(df, "x", q).first()), np.quantile([x for _, x in rows if x is not None], list(q.values())))
+
+
+def test_partials_are_added_in_levels(spark):
+    import numpy as np
+
+    from relmodel.nn.train import _tree
+
+    def partial(frames):
+        rows = [x for pdf in frames for x in pdf["id"]]
+        return len(rows), float(sum(rows)), {"w": np.array([len(rows), sum(rows)], float)}
+
+    n, loss, total = _tree(spark.range(0, 500, numPartitions=37), partial, width=3)
+    assert n == 500 and loss == sum(range(500)) and list(total["w"]) == [500, sum(range(500))]
