@@ -20,7 +20,14 @@ _written: list[tuple[SparkSession, str]] = []
 
 def read(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     importable(spark)
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+    return spread(spark.read.parquet(f"{sf_dir}/{name}.parquet"))
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """A table of fewer scan tasks than cores (one small file) is dealt out once, as texts cost far more
+    to work on than to move; a table of many files is read as it lies, without a shuffle."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if df.rdd.getNumPartitions() < cores else df
 
 
 def text_of(col: Column | str) -> Column:

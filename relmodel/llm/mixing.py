@@ -1,6 +1,6 @@
 """Operator 1: mixing sources to target weights by weighted fair queueing (DataFrame operations only).
 
-Each source's documents stand in a shuffled order (by hash of the id). A document's virtual time is
+Each source's documents stand in a shuffled order (by hash of the id, of the text where there is none). A document's virtual time is
 the source's running word count divided by its target, taken at the document's middle word so that
 a cut rounds to the nearer side; a second pass over the source follows the first. Ranges of virtual
 time hold about equal numbers of words by construction, so the global sort is a sort by these
@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from relmodel.llm._common import words_of, written
+from relmodel.llm._common import text_of, words_of, written
 
 WEIGHTS = (5, 2, 1)
 BUDGET = 1.5
@@ -55,9 +55,9 @@ def source_targets(sizes: DataFrame, weights=WEIGHTS, budget: float = BUDGET, mo
 
 def timed(docs: DataFrame, targets: DataFrame, seed: str = SEED) -> DataFrame:
     """Adds source_size, target, and v: the virtual time of the first pass. ``docs`` has doc_id,
-    source and size."""
+    source, size and salt (for rows without doc_id)."""
     own = docs.join(targets, docs.source.eqNullSafe(targets.source)).drop(targets.source)
-    own = own.withColumn("h", F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("doc_id").cast("string"), F.lit("null"))).cast("binary")))
+    own = own.withColumn("h", F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("doc_id").cast("string"), F.concat(F.lit("null"), "salt"))).cast("binary")))
     own = own.withColumn("slot", F.substring("h", 1, 3))
     key = [F.col("source").isNull().alias("none"), F.coalesce("source", F.lit("")).alias("key"), "slot"]
     own = own.select("*", *key[:2])
@@ -108,7 +108,8 @@ def mix(docs: DataFrame, weights=WEIGHTS, budget: float = BUDGET, most: int = MO
     """doc_id, source, size, source_size, target, times (0 to 2), taken, v (virtual time of the first pass);
     ``row_key`` is handed on if ``docs`` has it."""
     more = [c for c in ("row_key",) if c in docs.columns]
-    own = written(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), F.size(words_of("text")).cast("long").alias("size"), *more))
+    salt = F.when(F.col("doc_id").isNull(), F.md5(text_of("text").cast("binary"))).otherwise("")  # rows without id are spread too
+    own = written(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), F.size(words_of("text")).cast("long").alias("size"), salt.alias("salt"), *more))
     targets = source_targets(own.groupBy("source").agg(F.sum("size").alias("source_size")), weights, budget, most)
     total = budget * (own.agg(F.sum("size")).first()[0] or 0)
     times = written(timed(own, targets, seed))
