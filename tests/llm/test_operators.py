@@ -244,6 +244,19 @@ def test_simhash_thresholds():
     assert sum(simhash.thresholds(d, 10, 1)) == 1
 
 
+@pytest.mark.parametrize("n", [200, 235_000, 600_000, 3_034_159, 15_000_000, 200_000_000])
+def test_simhash_average_places_are_no_crowds(n, monkeypatch):
+    """Codes that are spread evenly are paired place by place at any size, not as one crowd."""
+    seen = {}
+    monkeypatch.setattr(simhash, "correlations", lambda codes, words64: np.eye(64))
+    monkeypatch.setattr(simhash, "distances", lambda codes, parts: [np.array([1.0, 1, 1]) for _ in parts])
+    monkeypatch.setattr(simhash, "links", lambda codes, radius, words64, parts, t, accept=None, crowd=simhash.CROWD: seen.update(parts=parts, t=t, crowd=crowd))
+    simhash.code_links(type("Codes", (), {"count": lambda self: n})(), 4)
+    least = min(len(p) for p in seen["parts"])
+    assert sum(map(len, seen["parts"])) == 64 and sum(seen["t"]) == 4 - len(seen["parts"]) + 1
+    assert n / 2**least * 4 <= seen["crowd"]
+
+
 def test_simhash_odd(odd, empty):
     got = simhash.simhash_dedup(odd).collect()
     assert len(got) == len(ODD) and {x.component_id for x in got if x.doc_id is None} == {None}
