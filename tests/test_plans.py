@@ -1,7 +1,9 @@
 """Shapes of plans, slices, decisions, profiles, reports, training on Spark and streams."""
 
 import json
+import re
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -231,3 +233,21 @@ def test_workloads_have_both_classes(spark, sf):
 def test_step_order():
     s = Step("a", "b", "c")
     assert s.down
+
+
+def test_text_vector_hashes_each_word_once(spark):
+    from hashlib import md5
+
+    from relmodel.functions.embed import text_vector
+
+    texts = ["Blue steel, blue-green 7", "", None, "?!", "one " * 40, "Ärger straße"]
+    df = spark.createDataFrame(list(enumerate(texts)), "i int, s string")
+    for width in (16, 5):
+        out = df.select("i", text_vector(F.col("s"), "s", width).alias("v"))
+        assert out._jdf.queryExecution().executedPlan().toString().count("md5(") == 1
+        for r in out.collect():
+            want = np.zeros(width)
+            for w in re.findall(r"[^\W_]+", (texts[r.i] or "").lower()):
+                h = int(md5(f"s:{w}".encode()).hexdigest()[:6], 16)
+                want[h // 2 % width] += 2 * (h % 2) - 1
+            assert np.allclose(r.v, want / max(np.sqrt((want**2).sum()), 1.0))
