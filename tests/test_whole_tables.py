@@ -54,3 +54,20 @@ def test_labels_are_chronological(spark, sf):
     by = {r.split: (r.m, r.s) for r in own}
     assert set(by) == set(learned.SPLITS) and abs(by["train"][0]) < 1e-9 and abs(by["train"][1] - 1) < 1e-9
     assert by["test"][0] > by["valid"][0] > 0  # customers spend more and more
+
+
+@pytest.mark.parametrize("how", ["fit_sync", "fit_local_sgd"])
+def test_epochs_read_stored_rows(spark, sf, monkeypatch, how):
+    """No epoch packs the tables again."""
+    from relmodel.nn import train
+
+    class Seen(Exception):
+        pass
+
+    def fit(packed, *_):
+        raise Seen(packed.inputFiles())
+
+    monkeypatch.setattr(train, how, fit)
+    with pytest.raises(Seen) as e:
+        learned.QUERIES["train_" + how[4:]](spark, sf)
+    assert e.value.args[0] and not [f for f in e.value.args[0] if "/root/testdata" in f]
