@@ -251,3 +251,32 @@ def test_text_vector_hashes_each_word_once(spark):
                 h = int(md5(f"s:{w}".encode()).hexdigest()[:6], 16)
                 want[h // 2 % width] += 2 * (h % 2) - 1
             assert np.allclose(r.v, want / max(np.sqrt((want**2).sum()), 1.0))
+
+
+@pytest.mark.parametrize("name", ["architecture_space", "catalog_columns", "plan_limits"])
+def test_tables_are_read(spark, tmp_path, sf, name):
+    """The query meets a table that cannot be read to its end."""
+    import os
+    import shutil
+
+    from relmodel.all_queries import QUERIES
+
+    for f in os.listdir(sf):
+        if f.endswith(".parquet"):
+            shutil.copyfile(f"{sf}/{f}", tmp_path / f)
+    assert QUERIES[name](spark, str(tmp_path)).count() > 0
+    whole = (tmp_path / "orders.parquet").read_bytes()
+    with open(tmp_path / "orders.parquet", "r+b") as f:  # the footer stays as it was
+        f.seek(4)
+        f.write(b"\xff" * (len(whole) // 2))
+    with pytest.raises(Exception):
+        QUERIES[name](spark, str(tmp_path)).collect()
+
+
+def test_architecture_space_follows_the_orders(spark, tmp_path):
+    from relmodel.all_queries import QUERIES
+
+    orders = [(c,) for c, n in ((1, 1), (2, 3), (3, 40)) for _ in range(n)]
+    spark.createDataFrame(orders, "o_custkey long").write.parquet(str(tmp_path / "orders.parquet"))
+    got = QUERIES["architecture_space"](spark, str(tmp_path)).collect()
+    assert len(got) == 3 + 9 + 27 and {r.widths for r in got if r.depth == 1} == {"32", "64", "512"}
