@@ -37,3 +37,26 @@ def test_a_sample_begins_with_the_smaller_ones(spark, sf, how):
     one = learned.study(spark, sf, "pl3", [spec], seeds=60, k=3, strategy=how, **PARTS).first()
     two = learned.study(spark, sf, "pl3", [spec | {"first": 3}], seeds=60, k=9, strategy=how, **PARTS).first()
     assert np.isclose(one.metric, two.metric) and np.isclose(one.valid, two.valid) and one.top == two.top
+
+
+def test_strategies_pack_each_part_once(spark, sf, monkeypatch):
+    """The stale pool and the new runs are measured in one pass of the test rows; both rounds share the past."""
+    parts, own = [], learned.packed_parts
+    monkeypatch.setattr(learned, "packed_parts", lambda s, d, name, p, **k: (parts.extend((name, x) for x in p), own(s, d, name, p, **k))[1])
+    got = learned.dispatch_strategies(spark, sf)
+    for name in ("pl1", "pl5"):
+        assert parts.count((name, "test")) == 1 and parts.count((name, "past")) == 1
+    assert {r.strategy for r in got.collect()} == {"never", "always", "conditional", "best", "retrain", "static_pool"}
+
+
+def test_areas_of_many_models_at_once(spark):
+    from relmodel.operators.metrics import mae, roc_area
+
+    r = np.random.default_rng(7)
+    rows = [(i, float(y), float(s)) for i in range(3) for y, s in zip(r.random(200) < 0.4, r.integers(0, 30, 200))] + [(9, 1.0, 0.5)]
+    df = spark.createDataFrame(rows, "i int, y double, s double")
+    for how in (roc_area, mae):
+        got = {x.i: x[1] for x in how(df, "y", "s", by=("i",)).collect()}
+        for i in (0, 1, 2, 9):
+            want = how(df.where(F.col("i") == i), "y", "s").first()[0]
+            assert got[i] == want or np.isclose(got[i], want)
