@@ -60,3 +60,13 @@ def test_areas_of_many_models_at_once(spark):
         for i in (0, 1, 2, 9):
             want = how(df.where(F.col("i") == i), "y", "s").first()[0]
             assert got[i] == want or np.isclose(got[i], want)
+
+
+def test_natural_part_studies_make_labels_once(spark, sf, monkeypatch):
+    """Every packing of w11_part_positive reads stored labels, not the lines again."""
+    from relmodel.plans import packing
+
+    seen, own = [], packing.pack
+    monkeypatch.setattr(learned, "pack", lambda seeds, *a, **k: (seen.extend(seeds.inputFiles()), own(seeds, *a, **k))[1])
+    learned.packed_parts(spark, sf, "part_positive", ["fit", "test"], seeds=20, **PARTS)
+    assert seen and not [f for f in seen if "/root/testdata" in f]
