@@ -70,3 +70,16 @@ def test_natural_part_studies_make_labels_once(spark, sf, monkeypatch):
     monkeypatch.setattr(learned, "pack", lambda seeds, *a, **k: (seen.extend(seeds.inputFiles()), own(seeds, *a, **k))[1])
     learned.packed_parts(spark, sf, "part_positive", ["fit", "test"], seeds=20, **PARTS)
     assert seen and not [f for f in seen if "/root/testdata" in f]
+
+
+def test_repeated_seeds_get_each_neighbour_once(spark, sf):
+    """First hops are numbered by their sample alone, without meeting the seeds again."""
+    from relmodel.plans.packing import fit_plan, pack
+
+    t = load(spark, sf, ["part", "lineitem"])
+    plan = fit_plan(t, "part", list(PARTS["steps"]), k=3)
+    seeds = spark.createDataFrame([("1", 0.0, "train"), ("1", 1.0, "valid"), ("2", 0.0, "train")], "seed_id string, y double, split string")
+    for how in (True, False):
+        got = {(r.seed_id, r.split): r.line_part for r in pack(seeds, t, plan, few=how).collect()}
+        assert {k: len(v) for k, v in got.items()} == {("1", "train"): 3, ("1", "valid"): 3, ("2", "train"): 3}
+        assert got["1", "train"] == got["1", "valid"]
