@@ -15,6 +15,9 @@ from relmodel.session import importable, shared_folder
 SPACE_CHARS = " \t\n\x0b\x0c\r"
 SPACE_PATTERN = r"[\x20\x09-\x0D]+"
 
+#: Rows from which on a side of a join is not left to Spark, which sizes it by its compressed file.
+MOST_SENT = 200_000
+
 _written: list[tuple[SparkSession, str]] = []
 
 
@@ -68,6 +71,11 @@ def free(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+def apart(df: DataFrame, rows: int) -> DataFrame:
+    """A side of a join that is not broadcast from ``MOST_SENT`` rows on."""
+    return df.hint("merge") if rows >= MOST_SENT else df
+
+
 def drop_written(*frames: DataFrame) -> None:
     """Removes tables of ``written`` whose rows have been consumed by a later written table."""
     for df in frames:
@@ -105,8 +113,8 @@ def components(links: DataFrame) -> DataFrame:
             return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).union(edges.select("v", "v")).distinct()
         mark, both = now, edges.union(edges.select("v", "u"))
         least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+        large = both.join(apart(least, now[0]), "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         low = large.groupBy("u").agg(F.min("v").alias("m"))
-        small = large.join(low, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low).where("u <> v").distinct()
+        small = large.join(apart(low, now[0]), "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(low).where("u <> v").distinct()
         old, edges = edges, written(small)
         drop_written(old)
